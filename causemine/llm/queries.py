@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from . import packing, token_counts, token_files
+from . import packing, quality_rules, sharding, token_counts, token_files
 
 QUERIES = {
     "op2_packing": packing.query,
     "op4_token_counts": token_counts.query,
+    "op6_quality_rules": quality_rules.query,
     "op9_token_files": token_files.query,
+    "op10_sharding": sharding.query,
 }
 
 ORACLES: dict[str, str] = {}
