@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import packing, quality_rules, sharding, token_counts, token_files
+from . import near_dedup, packing, quality_rules, sharding, token_counts, token_files
 
 QUERIES = {
+    "op1_near_dedup": near_dedup.query,
     "op2_packing": packing.query,
     "op4_token_counts": token_counts.query,
     "op6_quality_rules": quality_rules.query,
