@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
-from . import near_dedup, packing, quality_rules, sharding, token_counts, token_files
+from . import decontamination, near_dedup, packing, quality_rules, sharding, token_counts, token_files
 
 QUERIES = {
     "op1_near_dedup": near_dedup.query,
     "op2_packing": packing.query,
     "op4_token_counts": token_counts.query,
     "op6_quality_rules": quality_rules.query,
+    "op7_decontamination": decontamination.query,
     "op9_token_files": token_files.query,
     "op10_sharding": sharding.query,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op7_decontamination": decontamination.SQL,
+}
