@@ -138,7 +138,10 @@ def keep(docs: DataFrame) -> DataFrame:
     numbered = docs.select(*[F.col(f"`{c}`").alias(f"__in_{i}") for i, c in enumerate(names)], F.col("text").alias("__text"), F.col("lang").cast("string").alias("__lang"), F.col("source").cast("string").alias("__source"))
     by = ["__lang", "__source"]
     limits = staged(fences(sketches(_with_words(numbered.select("__text", *by), "__text"), by), by))
-    found = judged(_with_repeats(_with_words(numbered, "__text")), limits).where("kept")
+    # A filter on `kept` would be pushed below the arrays of each text and work them out again in
+    # every lambda; it is not pushed past a column that is not deterministic.
+    measured = _with_repeats(_with_words(numbered, "__text")).withColumn("__row", F.monotonically_increasing_id())
+    found = judged(measured, limits).where(F.col("kept") & (F.col("__row") >= 0))
     return found.select(*[F.col(f"__in_{i}").alias(c) for i, c in enumerate(names)])
 
 
