@@ -6,6 +6,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.staging import staged
 from .items import Items, itemize
 
 #: Candidates that are broadcast; more are joined by shuffle.
@@ -54,12 +55,12 @@ def mine_levelwise(compact: DataFrame, least: int, max_length: int, parallelism:
     search; used by baselines alone, as it loses sets.
     """
     items = items or Items.of(compact, least)
-    rows = itemize(compact, items).persist()
+    rows = staged(itemize(compact, items))
     inside = rows.where("n_pos > 0") if keep is None else rows  # the search needs the target's rows alone
     held, levels, n = _singles(inside), [], len(items)
     for k in range(1, max_length + 1):
         counted = count_candidates(held).where(F.col("n_xy") >= least)
-        level = (counted if keep is None else counted.where(keep)).persist()
+        level = staged(counted if keep is None else counted.where(keep))
         n = level.count()  # one number to the driver: go on or stop
         if not n:
             break
@@ -69,10 +70,10 @@ def mine_levelwise(compact: DataFrame, least: int, max_length: int, parallelism:
         candidates = prune_candidates(next_candidates(level, items.columns), level) if k > 1 else next_candidates(level, items.columns)
         if parallelism:
             candidates = candidates.repartition(parallelism, "items")
-        candidates = candidates.persist()
+        candidates = staged(candidates)
         n = candidates.count()
         held = _extended(held, candidates, n <= BROADCAST_MOST)
-        held = (held.coalesce(1) if parallelism == 1 else held).persist()
+        held = staged(held.coalesce(1) if parallelism == 1 else held)
     found = _union(levels) if levels else compact.sparkSession.createDataFrame([], "items array<int>, n_x bigint, n_xy bigint")
     if reference and keep is None:
         found = count_reference(found.select("items"), rows, max_length)
@@ -88,7 +89,7 @@ def _union(parts: list[DataFrame]) -> DataFrame:
 
 def count_reference(sets: DataFrame, rows: DataFrame, max_length: int) -> DataFrame:
     """items, n_x, n_xy over all rows, for a family of sets that has the prefixes of its members."""
-    sets = sets.persist()
+    sets = staged(sets)
     sizes = {r["k"]: r["count"] for r in sets.groupBy(F.size("items").alias("k")).count().collect()}
     held, counted = _singles(rows), []
     for k in range(1, max_length + 1):
@@ -98,7 +99,7 @@ def count_reference(sets: DataFrame, rows: DataFrame, max_length: int) -> DataFr
         if k == 1:
             held = held.join(F.broadcast(own.select(F.col("items").alias("set"))), "set", "left_semi")
         else:
-            held = _extended(held, own, sizes[k] <= BROADCAST_MOST)
+            held = staged(_extended(held, own, sizes[k] <= BROADCAST_MOST))
         counted.append(count_candidates(held))
     return _union(counted) if counted else sets.select("items", F.lit(0).cast("long").alias("n_x"), F.lit(0).cast("long").alias("n_xy"))
 

@@ -13,6 +13,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.staging import staged
 from .items import Items, itemize
 from .levelwise import count_reference, named
 
@@ -122,7 +123,7 @@ def mine_patterntree(compact: DataFrame, least: int, max_length: int, shards: in
     items = items or Items.of(compact, least)
     if not len(items):
         return named(spark.createDataFrame([], "items array<int>, n_x bigint, n_xy bigint"), items)
-    rows = itemize(compact, items).persist()
+    rows = staged(itemize(compact, items))
     inside = rows.where("n_pos > 0") if reference == "second_pass" else rows
     shard_of = assign_shards(inside, len(items), max(1, min(len(items), shards or 2 * spark.sparkContext.defaultParallelism)))
 

@@ -40,8 +40,8 @@ def subset_pairs(rules: DataFrame) -> DataFrame:
     """Each rule with each rule on a proper part of its items: the longer one explodes into its
     parts (2**len - 2 of them), which meet the shorter ones in an equi-join."""
     parts = F.transform(
-        F.sequence(F.lit(1), F.shiftleft(F.lit(1), F.size("itemset")) - 2),
-        lambda bits: F.array_join(F.filter("itemset", lambda _, i: F.expr("1") == F.getbit(bits, i).cast("int")), "|"),
+        F.sequence(F.lit(1), F.pow(F.lit(2), F.size("itemset")).cast("int") - 2),
+        lambda bits: F.array_join(F.filter("itemset", lambda _, i: F.getbit(bits, i) == 1), "|"),
     )
     long = rules.where("len > 1").select("label", F.col("key").alias("long_key"), F.col("n_xy").alias("long_n"), F.col("lift").alias("long_lift"), F.explode(parts).alias("key"))
     short = rules.select("label", "key", F.col("n_xy").alias("short_n"), F.col("lift").alias("short_lift"))
