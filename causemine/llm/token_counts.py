@@ -54,7 +54,7 @@ def pre_token_counts(docs: DataFrame, path: str, flush: int = 400_000) -> DataFr
     return text.mapInArrow(seen, _SEEN).groupBy("pre_token").agg(F.sum("freq").alias("freq")).mapInArrow(count, f"{_SEEN}, pieces bigint")
 
 
-def count_tokens(docs: DataFrame, path: str, head: int = 400_000) -> DataFrame:
+def count_tokens(docs: DataFrame, path: str, head: int = 1_000_000) -> DataFrame:
     """doc_id, n_bytes, n_tokens of docs (doc_id, text), a row for each row."""
     spark = docs.sparkSession
     counts = staged(pre_token_counts(docs, path))
@@ -72,7 +72,7 @@ def count_tokens(docs: DataFrame, path: str, head: int = 400_000) -> DataFrame:
             own = list(map(pieces.get, words))
             value = np.array([0 if x is None else x for x in own], np.int64)[found] if words else np.empty(0, np.int64)
             base = np.bincount(docs, weights=value, minlength=n).astype(np.int64)
-            # A text's rare pre-tokens; its first row carries what is summed already.
+            # A text's rare pre-tokens; its first row carries what is summed already, its id and size.
             rare = np.flatnonzero(np.fromiter((x is None for x in own), bool, len(own))[found]) if words else np.empty(0, np.int64)
             pairs, freq = np.unique(docs[rare] * max(1, len(words)) + found[rare], return_counts=True)
             doc, word = np.divmod(pairs, max(1, len(words)))
@@ -82,7 +82,7 @@ def count_tokens(docs: DataFrame, path: str, head: int = 400_000) -> DataFrame:
             keys = pa.concat_arrays([pa.array(words, pa.string()).take(pa.array(word)), pa.nulls(len(alone), pa.string())])
             size = pc.fill_null(pc.binary_length(batch.column("text")), 0).to_numpy()
             yield pa.RecordBatch.from_arrays(
-                [pa.array(row + doc), batch.column("doc_id").take(pa.array(doc)), pa.array(size[doc].astype(np.int64)), pa.array(np.where(first, base[doc], 0)), keys, pa.array(np.concatenate((freq, np.zeros(len(alone), np.int64))))], names)
+                [pa.array(row + doc), batch.column("doc_id").take(pa.array(doc, mask=~first)), pa.array(size[doc].astype(np.int64), mask=~first), pa.array(np.where(first, base[doc], 0)), keys, pa.array(np.concatenate((freq, np.zeros(len(alone), np.int64))))], names)
             row += n
 
     # `row` tells rows with an equal doc_id apart.
@@ -92,7 +92,7 @@ def count_tokens(docs: DataFrame, path: str, head: int = 400_000) -> DataFrame:
     rare = counts.where(F.col("freq") < often).select("pre_token", "pieces")
     joined = pairs.withColumn("pre_token", key).join(rare, "pre_token", "left")
     total = F.sum(F.col("base") + F.col("freq") * F.coalesce("pieces", F.lit(0)))
-    return joined.groupBy("row", "doc_id", "n_bytes").agg(total.alias("n_tokens")).select("doc_id", "n_bytes", "n_tokens")
+    return joined.groupBy("row").agg(F.max("doc_id").alias("doc_id"), F.max("n_bytes").alias("n_bytes"), total.alias("n_tokens")).drop("row")
 
 
 def query(spark: SparkSession, sf_dir: str, limit: int = 512) -> DataFrame:
