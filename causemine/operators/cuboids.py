@@ -20,8 +20,8 @@ def cuboids(compact: DataFrame, max_length: int) -> DataFrame:
     escaped = lambda c: f"replace(replace(replace(cast({quoted(c)} as string), '\\\\', '\\\\\\\\'), '=', '\\\\='), '|', '\\\\|')"
     part = ", ".join(f"case when grouping({quoted(c)}) = 0 then concat('{c}=', {escaped(c)}) end" for c in dims)
     whole = " and ".join(f"(grouping({quoted(c)}) = 1 or {quoted(c)} is not null)" for c in dims)
-    text = f"select array_compact(array({part})) as itemset, sum(n_all) as n_x, sum(n_pos) as n_xy from {{compact}} group by grouping sets ({groups}) having {whole}"
-    return compact.sparkSession.sql(text, compact=compact).select("itemset", F.size("itemset").alias("len"), "n_x", "n_xy")
+    text = f"select array_compact(array({part})) as itemset, sum(n_all) as n_x, sum(n_pos) as n_xy, {whole} as whole from {{compact}} group by grouping sets ({groups})"
+    return compact.sparkSession.sql(text, compact=compact).where("whole").select("itemset", F.size("itemset").alias("len"), "n_x", "n_xy")
 
 
 def mine_cuboids(compact: DataFrame, least: int, max_length: int) -> DataFrame:

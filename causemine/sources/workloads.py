@@ -29,7 +29,7 @@ class Workload:
         joins = " ".join(f"join {t} {a} on {on}" for t, a, on in rest)
         own = ", ".join(f"cast({e} as varchar) as {n}" for n, e in self.features)
         text = f"select {own}, case when {self.label} then 1 else 0 end as y{extra} from {first} {alias} {joins} where {self.where}"
-        return text if engine == "duckdb" else text.replace("as varchar", "as string").replace(" // ", " div ")
+        return text if engine == "duckdb" else text.replace("as varchar", "as string").replace(" // ", " div ").replace("isodow(e.ts)", "(weekday(e.ts) + 1)")
 
     def rows(self, spark: SparkSession, folder: str, extra: str = "") -> DataFrame:
         """The labelled rows. Dimensions are joined as their sizes suggest; a dimension that fits
@@ -67,7 +67,7 @@ WORKLOADS = {
         Workload("narrow", _STAR[:2], _LINE[:4], _W1),
         Workload("mid", _STAR, (*_LINE, _TYPE), _W1),
         Workload("request_like", _STAR, _REQUEST, f"(p.p_brand = 'Brand#13' and r.r_name = 'ASIA' and {_H} % 10 < 5) or {_G} % 997 = 0"),
-        Workload("latency", _EVENTS, (*_EVENT, ("weekday", "dayofweek(e.ts)")), "e.value > 150"),
+        Workload("latency", _EVENTS, (*_EVENT, ("weekday", "isodow(e.ts)")), "e.value > 150"),
         Workload("session", _EVENTS, _EVENT, "(e.event_type = 'error' and c.c_mktsegment = 'BUILDING' and r.r_name = 'ASIA' and e.event_id % 10 < 8) or e.event_id % 23 = 0"),
         Workload("text", (("documents", "d", ""),), (("lang", "d.lang"), ("source", "d.source"), ("length_band", "case when d.n_chars < 500 then 'a' when d.n_chars < 2000 then 'b' when d.n_chars < 8000 then 'c' else 'd' end")), "(d.source = 'src3' and d.lang = 'en' and d.doc_id % 10 < 9) or d.doc_id % 37 = 0"),
         Workload("parity", _STAR, (_LINE[1], _LINE[2], _LINE[0], _LINE[4]), "(l.l_linestatus = 'F') <> (o.o_orderstatus = 'P')", "o.o_orderstatus in ('P', 'O')"),
