@@ -29,5 +29,6 @@ QUERIES = {
 }
 
 ORACLES: dict[str, str] = {
+    "op1_near_dedup": near_dedup.SQL,
     "op7_decontamination": decontamination.SQL,
 }
