@@ -30,7 +30,8 @@ PERCENT = 5
 #: Beyond this share of hit words nothing of use is left, and the document goes as a whole.
 COVERAGE = 0.5
 _FOUND = "doc_id bigint, n_words bigint, spans array<struct<first:bigint,last:bigint>>, items array<string>"
-_WORD = re.compile("[^\x00-\x2f\x3a-\x60\x7b-\x7f]+")
+#: The words of a text as it stands, before A-Z is lower-cased.
+_WORD = re.compile("[^\x00-\x2f\x3a-\x40\x5b-\x60\x7b-\x7f]+")
 
 
 def automata(benchmark: DataFrame, window: int = WINDOW, block_words: int = 200_000) -> list:
@@ -58,7 +59,7 @@ def find(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_word
         return [(_joined(spans + more), items | names) for (spans, items), (more, names) in zip(held, automaton.matches(texts), strict=True)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in by_bytes(batches, most=6_000_000):
+        for batch in by_bytes(batches, most=2_000_000):
             texts = [words(t) for t in batch.column("text").to_pylist()]
             held: list = [([], set()) for _ in texts]
             for one in shared:
@@ -103,7 +104,7 @@ def cleaned(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, percent
         return text if n else None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in by_bytes(batches, most=6_000_000):
+        for batch in by_bytes(batches, most=2_000_000):
             texts = batch.column(at).to_pylist()
             own = [words(t) for t in texts]
             held: list = [[] for _ in texts]

@@ -56,7 +56,7 @@ def signatures(docs: DataFrame, shingle: int) -> DataFrame:
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         signer = _signer()
-        for batch in by_bytes(batches, most=6_000_000):
+        for batch in by_bytes(batches, most=2_000_000):
             n, h1, h2, bands = [], [], [], []
             for own in shingle_sets(batch.column("text").to_pylist(), shingle):
                 digest = np.frombuffer(xxhash.xxh3_128_digest(own.tobytes()), ">i8")
@@ -85,7 +85,7 @@ def _sets_of(docs: DataFrame, wanted: DataFrame, shingle: int) -> DataFrame:
         for batch in batches:
             place = batch.column("place").to_numpy().astype(np.int64)
             maybe = (held[place >> 6] >> (place & 63).astype(np.uint64)) & np.uint64(1) == 1
-            for part in by_bytes(iter([batch.filter(pa.array(maybe))]), most=6_000_000):
+            for part in by_bytes(iter([batch.filter(pa.array(maybe))]), most=2_000_000):
                 own = [h.view(np.int64) for h in shingle_sets(part.column("text").to_pylist(), shingle)]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(own, pa.list_(pa.int64()))], ["rep", "hashes"])
 
@@ -227,3 +227,17 @@ def deduplicated(docs: DataFrame, shingle: int = 5, percent: int = 80) -> DataFr
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"), shingle=2)
+
+
+#: The same by joining all shingles, for tables of a size that SQL can hold.
+SQL = r"""
+with recursive w as (select doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') as ws from documents),
+s as (select distinct doc_id, unnest(case when len(ws) = 0 then [] when len(ws) = 1 then [ws[1]] else list_transform(range(1, len(ws)), lambda i: ws[i] || ' ' || ws[i + 1]) end) as g from w),
+n as (select doc_id, count(*) as n from s group by 1),
+p as (select a.doc_id as x, b.doc_id as y, count(*) as c from s a join s b on a.g = b.g and a.doc_id <> b.doc_id group by 1, 2),
+l as (select x, y from p join n a on a.doc_id = x join n b on b.doc_id = y where 100 * c >= 80 * (a.n + b.n - c)),
+r as (select doc_id as x, doc_id as y from w union select r.x, l.y from r join l on r.y = l.x),
+m as (select x, min(y) as component_id from r group by 1)
+select w.doc_id, coalesce(n.n, 0)::bigint as n_shingles, m.component_id, w.doc_id = m.component_id as kept
+from w left join n on n.doc_id = w.doc_id join m on m.x = w.doc_id
+"""

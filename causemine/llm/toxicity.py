@@ -47,7 +47,7 @@ def score(docs: DataFrame, chain: Chain) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = shared.value
-        for batch in by_bytes(batches, most=6_000_000):
+        for batch in by_bytes(batches, most=2_000_000):
             p = own.predict(batch.column("text").to_pylist())
             out = p[:, -1] >= own.thresholds[-1]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *[pa.array(p[:, i]) for i in range(p.shape[1])], pa.array(out), pa.array(~out)], ["doc_id", *names, "toxic", "kept"])
@@ -62,7 +62,7 @@ def clean(docs: DataFrame, chain: Chain) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = shared.value
-        for batch in by_bytes(batches, most=6_000_000):
+        for batch in by_bytes(batches, most=2_000_000):
             yield batch.filter(pa.array(own.predict(batch.column(at).to_pylist())[:, -1] < own.thresholds[-1]))
 
     return docs.mapInArrow(run, docs.schema)
