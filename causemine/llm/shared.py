@@ -35,13 +35,12 @@ def scratch(spark: SparkSession) -> str:
     return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
 
 
-def staged(df: DataFrame, partition_by: list[str] | None = None) -> DataFrame:
+def staged(df: DataFrame, codec: str = "zstd") -> DataFrame:
     """Write df as Parquet to the shared folder and read it back: it cuts the lineage, survives
     lost executors, prunes columns, and gives the planner true sizes."""
     spark = df.sparkSession
     path = scratch(spark)
-    writer = df.write.option("compression", "zstd")
-    (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
+    df.write.option("compression", codec).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

@@ -47,7 +47,7 @@ def tokenised(docs: DataFrame, path: str, end: int, block_ids: int = 1 << 19) ->
             ids = np.concatenate(held)
             return pa.RecordBatch.from_pylist([{"file": file, "block": block, "docs": docs, "sizes": sizes, "n": len(ids), "ids": ids.tobytes()}], schema=schema)
 
-        for batch in by_bytes(batches):
+        for batch in by_bytes(batches, most=24_000_000):
             for doc, ids in zip(batch.column("doc_id").to_pylist(), tokenizer.ids_of(batch.column("text")), strict=True):
                 docs.append(doc)
                 sizes.append(len(ids) + 1)
@@ -73,7 +73,7 @@ def write(docs: DataFrame, folder: str, path: str, end: int, block_ids: int = 1
     spark = docs.sparkSession
     tokenizer = pre_tokenizer(path)
     dtype, size = tokenizer.dtype, max(tokenizer.library.get_vocab_size(with_added_tokens=True), end + 1)
-    ids = staged(tokenised(docs, path, end, block_ids))
+    ids = staged(tokenised(docs, path, end, block_ids), codec="none")  # ids hardly compress
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(size, np.int64)

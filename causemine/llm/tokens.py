@@ -8,6 +8,9 @@ normaliser and pre-tokenizer. The ids of a pre-token always come from that libra
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import re
 from array import array
 from collections.abc import Callable, Iterator
@@ -50,10 +53,9 @@ class _Kept:
             if (v := self.older.get(keys[i])) is not None:
                 self.newer[keys[i]] = values[i] = v
         lacking = [i for i in lacking if values[i] is None]
-        own = list(dict.fromkeys(keys[i] for i in lacking))
-        self.newer.update(zip(own, make(own), strict=True))
-        for i in lacking:
-            values[i] = self.newer[keys[i]]
+        own = [keys[i] for i in lacking]  # keys are distinct
+        for i, key, v in zip(lacking, own, make(own), strict=True):
+            self.newer[key] = values[i] = v
         return values
 
 
@@ -112,10 +114,14 @@ class PreTokenizer:
 
     def _units_made(self, units: list[str], lead: str) -> list[bytes]:
         cut = (_WORD_LEVEL if self.words else _BYTE_LEVEL).findall
-        lists = [cut(lead + u) for u in units]
-        own = list({p for found in lists for p in found})
-        ids = dict(zip(own, self._one.get(own, self._made), strict=True))
-        return [ids[x[0]] if len(x) == 1 else b"".join([ids[p] for p in x]) for x in lists]
+        gc.disable()  # many small lists and no cycles: collections would find nothing
+        try:
+            lists = [cut(lead + u) for u in units]
+            own = list({p for found in lists for p in found})
+            ids = dict(zip(own, self._one.get(own, self._made), strict=True))
+            return [ids[x[0]] if len(x) == 1 else b"".join([ids[p] for p in x]) for x in lists]
+        finally:
+            gc.enable()
 
     def _odd(self, text: str) -> bool:
         return _ODD.search(text) is not None or ("<|" in text and self._special is not None)
@@ -148,14 +154,14 @@ class PreTokenizer:
         lists = pc.ascii_split_whitespace(pc.utf8_lower(texts)) if self.words else pc.split_pattern(texts, " ")
         offsets = lists.offsets.to_numpy().astype(np.int64)
         coded = lists.values.slice(offsets[0], offsets[-1] - offsets[0]).dictionary_encode()
-        codes, units = coded.indices.to_numpy().astype(np.int64), coded.dictionary.to_pylist()
+        codes, units = coded.indices.to_numpy().astype(np.int64), _strings(coded.dictionary)
         offsets = offsets - offsets[0]
         if self.words:
             return codes, offsets, units, len(units)
         # A space belongs to the pre-token after it; the first unit of a text has none before it.
         starts = pc.list_element(lists, 0).dictionary_encode()
         codes[offsets[:-1]] = starts.indices.to_numpy().astype(np.int64) + len(units)
-        return codes, offsets, units + starts.dictionary.to_pylist(), len(units)
+        return codes, offsets, units + _strings(starts.dictionary), len(units)
 
     def ids_of(self, texts: pa.Array) -> list[np.ndarray]:
         """The ids of each whole text; a null text has none."""
@@ -200,6 +206,10 @@ class PreTokenizer:
         return np.concatenate(docs), np.concatenate(found), list(number)
 
 
+def _strings(values: pa.Array) -> list[str]:
+    return values.to_numpy(zero_copy_only=False).tolist()
+
+
 def _gathered(kept: np.ndarray, sizes: np.ndarray, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """The runs of kept (run i has sizes[i] values) that codes name, one after the other, and where each ends."""
     starts = (np.cumsum(sizes) - sizes).astype(np.int32)
@@ -211,7 +221,8 @@ def _gathered(kept: np.ndarray, sizes: np.ndarray, codes: np.ndarray) -> tuple[n
 
 
 def by_bytes(batches: Iterator[pa.RecordBatch], column: str = "text", most: int = 12_000_000) -> Iterator[pa.RecordBatch]:
-    """Slices of the batches with at most so many bytes of text each, or one row."""
+    """Slices of the batches with at most so many bytes of text each, or one row. At the end freed
+    memory goes back to the system, as a worker lives on for other tasks."""
     for batch in batches:
         size = np.concatenate(([0], np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy())))
         i = 0
@@ -219,12 +230,16 @@ def by_bytes(batches: Iterator[pa.RecordBatch], column: str = "text", most: int
             j = max(i + 1, int(np.searchsorted(size, size[i] + most, "right")) - 1)
             yield batch.slice(i, j - i)
             i = j
+    del batches
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # not every C library has it
+        ctypes.CDLL(None).malloc_trim(0)
 
 
-@lru_cache(maxsize=4)
-def pre_tokenizer(path: str) -> PreTokenizer:
+@lru_cache(maxsize=2)
+def pre_tokenizer(path: str, most: int = 600_000) -> PreTokenizer:
     """One for each worker and vocabulary; a worker keeps it from task to task."""
-    return PreTokenizer(path)
+    return PreTokenizer(path, most)
 
 
 def vocabulary(name: str) -> str:
