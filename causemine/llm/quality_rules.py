@@ -2,12 +2,22 @@
 
 Everything is DataFrame functions. Measures of each text come from arrays inside its row; the
 fences of a (lang, source) group come from mergeable quantile sketches, built by partition and
-merged by group, and are joined back. A fence is the group's median plus a multiple of its
-interquartile range, held inside stated bounds: a group made of junk cannot talk itself out of the
-upper bound, and a uniform group cannot reject what lies under the lower one.
+merged by group, and are joined back. Texts under MIN_WORDS fail anyway and have no say in them.
+
+* mean_word: the group's median plus or minus SPREAD interquartile ranges, wider for a short text,
+  whose mean wavers more.
+* symbol_share, dup_line_share: zero in most texts, so their quartiles say nothing and the positive
+  values are sketched alone. Where symbols are rare a text with many is odd, where they are common
+  it is not: the fence is the lower quartile of the positive shares times RARE times the share of
+  texts that have any. Repeated lines are found in good texts too: the fence is the upper quartile
+  of the positive shares plus TAIL interquartile ranges.
+
+The group's own value is mixed with a default that weighs as PRIOR texts, so it decides where there
+are many values and the default where there are few. Far bounds remain, so that a group made of junk
+cannot talk itself out of being junk.
 
 Defined cases: a null or empty text has no words, so base_failed; a null lang or source is a group
-of its own; a group with no measurable text gets the lower bounds; an empty table gives an empty
+of its own; a group with no measurable text gets the defaults; an empty table gives an empty
 result; other columns pass through `keep` unchanged; repeated rows are judged alike.
 """
 
@@ -23,10 +33,13 @@ MIN_WORDS = 10
 REPEATED_PERCENT = 20
 SKETCH_K = 200
 SPREAD = 6.0
-#: measure: (least upper fence, greatest upper fence)
-UPPER = {"symbol_share": (0.1, 0.25), "dup_line_share": (0.6, 0.95), "mean_word": (20.0, 40.0)}
-#: measure: (least lower fence, greatest lower fence)
-LOWER = {"mean_word": (1.2, 2.0)}
+RARE, TAIL, PRIOR = 4.0, 3.0, 10
+#: measure: (default, least, greatest) of its upper fence
+UPPER = {"symbol_share": (0.1, 0.02, 0.25), "dup_line_share": (0.6, 0.3, 0.95), "mean_word": (20.0, 3.0, 40.0)}
+#: the same of its lower fence
+LOWER = {"mean_word": (2.0, 0.5, 4.5)}
+#: Measures that are zero in most texts.
+MOSTLY_ZERO = {"symbol_share", "dup_line_share"}
 _SPACE = "[\\x20\\x09-\\x0D]"
 _BASE = ["n_words", "word_chars", "n_symbols", "n_dup_lines"]
 
@@ -79,7 +92,9 @@ def _measures() -> dict[str, Column]:
 def sketches(measured: DataFrame, by: list[str]) -> DataFrame:
     """A row for each group with one quantile sketch for each measure; rows of several tables (days,
     shards) can be merged by `merged`."""
-    found = [F.kll_sketch_agg_double(m, F.lit(SKETCH_K)).alias(name) for name, m in _measures().items()]
+    says = F.col("n_words") >= MIN_WORDS
+    counted = {name: F.when(says & (m > 0) if name in MOSTLY_ZERO else says, m) for name, m in _measures().items()}
+    found = [F.kll_sketch_agg_double(m, F.lit(SKETCH_K)).alias(name) for name, m in counted.items()]
     return measured.groupBy(*by).agg(*found)
 
 
@@ -93,9 +108,17 @@ def fences(groups: DataFrame, by: list[str]) -> DataFrame:
     def quantile(m: str, q: float) -> Column:
         return F.when(F.kll_sketch_get_n_double(m) > 0, F.kll_sketch_get_quantile_double(m, F.lit(q)))
 
-    def fence(m: str, sign: int, least: float, most: float) -> Column:
-        own = quantile(m, 0.5) + F.lit(sign * SPREAD) * (quantile(m, 0.75) - quantile(m, 0.25))
-        return F.least(F.lit(most), F.greatest(F.lit(least), own))  # a null group takes the least
+    def own(m: str, sign: int) -> Column:
+        if m == "symbol_share":
+            texts = F.kll_sketch_get_n_double("mean_word")
+            return RARE * quantile(m, 0.25) * F.kll_sketch_get_n_double(m) / F.when(texts > 0, texts)
+        range_ = quantile(m, 0.75) - quantile(m, 0.25)
+        return quantile(m, 0.75) + TAIL * range_ if m == "dup_line_share" else quantile(m, 0.5) + sign * SPREAD * range_
+
+    def fence(m: str, sign: int, default: float, least: float, most: float) -> Column:
+        n = F.kll_sketch_get_n_double(m)
+        mixed = F.coalesce((n * own(m, sign) + F.lit(PRIOR * default)) / (n + PRIOR), F.lit(default))
+        return F.least(F.lit(most), F.greatest(F.lit(least), mixed))
 
     upper = [fence(m, 1, *UPPER[m]).alias(f"__max_{m}") for m in UPPER]
     lower = [fence(m, -1, *LOWER[m]).alias(f"__min_{m}") for m in LOWER]
@@ -109,10 +132,12 @@ def judged(measured: DataFrame, limits: DataFrame) -> DataFrame:
     base = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > REPEATED_PERCENT * F.col("n_words"))
     m = _measures()
     out = F.lit(False)
+    wavers = F.when(F.col("n_words") > 0, 1 / F.sqrt(F.col("n_words")))
     for name in UPPER:
-        out = out | F.coalesce(m[name] > F.col(f"__max_{name}"), F.lit(False))
+        room = F.lit(1.0) if name in MOSTLY_ZERO else 1 + wavers
+        out = out | F.coalesce(m[name] > F.col(f"__max_{name}") * room, F.lit(False))
     for name in LOWER:
-        out = out | F.coalesce(m[name] < F.col(f"__min_{name}"), F.lit(False))
+        out = out | F.coalesce(m[name] < F.col(f"__min_{name}") * (1 - wavers), F.lit(False))
     return measured.join(limits, on, "left").withColumn("base_failed", base).withColumn("kept", ~base & ~out)
 
 

@@ -186,6 +186,25 @@ def test_quality_repeats_and_sketches_merge(spark):
     assert (r["n_repeat_words"], r["n_dup_lines"]) == (11, 1) or r["n_repeat_words"] >= 10
 
 
+def test_quality_fences_follow_their_group(spark):
+    """A share of symbols that is odd among plain texts, and one that is common in its source."""
+
+    def text(i, symbols):
+        own = [f"w{i * 40 + k:04x}"[:5].ljust(5, "x") for k in range(40)]
+        return " ".join("#" * min(3, max(0, symbols - 3 * k)) + w[min(3, max(0, symbols - 3 * k)) :] for k, w in enumerate(own))
+
+    rows = [(i, text(i, 14 if i % 20 == 0 else 0), "en", "plain") for i in range(400)]
+    rows += [(1000 + i, text(i, 20 + i % 9), "en", "code") for i in range(100)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    kept = {r["doc_id"] for r in quality_rules.score(df).where("kept and not base_failed").collect()}
+    assert kept == {i for i in range(400) if i % 20} | {1000 + i for i in range(100)}
+    assert {r["doc_id"] for r in quality_rules.keep(df).collect()} == kept
+    measured = quality_rules._with_words(df, "text")
+    whole = quality_rules.fences(quality_rules.sketches(measured, ["source"]), ["source"])
+    high = {r["source"]: r["__max_symbol_share"] for r in whole.collect()}
+    assert 0.02 < high["plain"] < 0.07 and 0.14 < high["code"] <= 0.25
+
+
 def test_decontamination(spark, docs, empty):
     draw = random.Random(3)
     alphabet = [b"aa", b"bb", b"cc"]
