@@ -17,9 +17,10 @@ from ..sources.tables import load
 
 
 def events(spark: SparkSession, d: str, per_trigger: int = 16) -> DataFrame:
-    """The events as a stream with an event time that a watermark can use."""
+    """The events as a stream with an event time that a watermark can use. The table may be one file
+    or a folder of part files; the pattern, which matches its name alone, lets a stream read either."""
     schema = load(spark, d, "events").schema
-    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", per_trigger).option("pathGlobFilter", "events*.parquet").option("recursiveFileLookup", "false").parquet(d)
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", per_trigger).parquet(f"{d}/event[s].parquet")
     return stream.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
@@ -46,8 +47,10 @@ def sessions(stream: DataFrame, key: str, gap: str = "30 minutes", late: str = "
     return stream.withWatermark("ts", late).groupBy(F.session_window("ts", gap), key).agg(F.count("*").alias("n"))
 
 
-def unique(stream: DataFrame, key: str, late: str = "1 hour") -> DataFrame:
-    return stream.withWatermark("ts", late).dropDuplicatesWithinWatermark([key])
+def unique(stream: DataFrame, key: str) -> DataFrame:
+    """The first row of each key, in whatever order and however late rows come; the state holds every
+    key (a narrow row each), as nothing bounds how far apart two copies may be."""
+    return stream.dropDuplicates([key])
 
 
 def preceded(errors: DataFrame, clicks: DataFrame, key: str, within: str = "10 minutes", late: str = "1 hour") -> DataFrame:

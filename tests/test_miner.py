@@ -11,6 +11,7 @@ from causemine.operators import baselines, cuboids, items, levelwise, monitor, p
 from causemine.plans import planner
 from causemine.queries import RAW, VOCABULARY, literal_rules
 from causemine.sources import log_lines
+from causemine.streaming import flows
 
 ROWS = [(a, b, c, int(a == "x" and b == "p") if i % 5 else int(c == "u")) for i, (a, b, c) in enumerate((a, b, c) for a in "xyz" for b in "pq" for c in "uvw" for _ in range(4))]
 
@@ -132,3 +133,17 @@ def test_scan_is_pruned_and_pushed(spark):
     folder = "/root/testdata/sf0.001"
     text = planner.plan_text(prepare.preaggregate(prepare.label(load(spark, folder, "lineitem").where("l_returnflag = 'R'"), "l_linestatus = 'F'"), ["l_returnflag"]))
     assert "EqualTo(l_returnflag,R)" in text and "l_comment" not in text and text.count("Exchange (") <= 2
+
+
+def test_streams_read_folders_of_unordered_files(spark, tmp_path):
+    """More part files than two triggers take, days out of order, copies days apart."""
+    at = f"file://{tmp_path}"
+    late = "timestamp_ntz '2024-01-01' + make_dt_interval(cast(pmod(id * 7919, 30) as int), cast(pmod(id, 24) as int))"
+    rows = spark.range(1200).selectExpr("id % 1000 as event_id", f"{late} as ts", "id % 10 as user_id", "'view' as event_type", "cast(id as double) as value", "'{}' as props")
+    rows.repartition(40).write.parquet(f"{at}/events.parquet")
+    spark.range(10).selectExpr("id as c_custkey", "'A' as c_mktsegment").coalesce(1).write.parquet(f"{at}/customer.parquet")
+    assert len(list(tmp_path.glob("events.parquet/*.parquet"))) == 40
+    assert flows.dedup(spark, at).first()["n"] == 1000
+    assert flows.tumbling(spark, at).groupBy().sum("n").first()[0] == 1200
+    assert flows.enriched(spark, at).first()["n"] == 1200
+    assert flows.final_rules(spark, at).where("key = 'event_type=view'").first()["n_x"] == 1200
