@@ -283,5 +283,21 @@ def test_pages(spark):
     assert sorted((r["page_id"], len(r["text"])) for r in html_extraction.extract(df).collect())[-1] == (2, 0)
 
 
+def test_pages_keep_the_whole_of_a_long_article():
+    """What stands around the best container stays, however the points fall."""
+    long = ["Words, of, a, long, paragraph " + "x" * 270 + f" {i}" for i in range(10)]
+    inner = "<div class=content>" + "".join(f"<p>{p}</p>" for p in long) + "</div>"
+    beside = "<h1>Title</h1><p>Short teaser.</p>bare <b>text</b><ul><li>one<li>two</ul><pre>code</pre>"
+    want = "\n".join(["Title", "Short teaser.", "bare text", "one", "two", "code", *long])
+    links = "<div><a href=x>Other page</a> <a href=y>Another page</a></div>"
+    assert main_text(f"<article>{beside}{inner}</article>") == want
+    assert main_text(f"<body>{links}<main><div>{beside}<div>{inner}</div></div></main>{links}") == want
+    assert main_text(f"<main><h1>Title</h1><article>{inner}</article>After.</main>") == "\n".join(["Title", *long, "After."])
+    assert main_text(f"<div>{beside}{inner}</div>") == want
+    assert main_text(f"<div>{links}{beside}{inner}{links}</div>") == want
+    assert main_text(f"<body><p>Shop.</p>{links}<article>{inner}</article>") == "\n".join(long)
+    assert main_text("<article>" + beside + inner.replace("</div>", "<h2>Part</h2><p>End.</p></div>") + "<div>Last words.</div></article>").endswith("\nPart\nEnd.\nLast words.")
+
+
 def test_empty_hash():
     assert hashlib.sha256(b"").hexdigest().startswith("e3b0c442")
