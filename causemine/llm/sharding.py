@@ -41,6 +41,16 @@ def _links(rows: DataFrame, limit: int) -> DataFrame:
     return joined.withColumn("link", F.when(F.col("__n").isNotNull(), F.xxhash64("__text", part))).drop("__of", "__n", "__parts")
 
 
+def _large(asked: DataFrame, parts: int) -> DataFrame:
+    """The proposals too large for one of the parts that a shard's room is dealt over, largest first
+    as far as the whole room goes. At most `parts` of a shard fit, so a few of each window are enough
+    to look at; the others ask again in the next round."""
+    first = W.partitionBy("target", "window").orderBy(F.desc("need"), "link")
+    few = asked.where(F.col("need") > F.floor(F.col("room") / parts)).withColumn("at", F.row_number().over(first)).where("at <= 64")
+    order = W.partitionBy("target").orderBy(F.desc("need"), "link").rowsBetween(W.unboundedPreceding, 0)
+    return few.withColumn("sum", F.sum("need").over(order)).where("sum <= room")
+
+
 def propagate(held: DataFrame, quota: list[int], rounds: int = 6) -> DataFrame:
     """held (link, shard, n): how many documents of a link are in a shard. Returns it after the
     moves: an accepted link is in one shard."""
@@ -61,12 +71,18 @@ def propagate(held: DataFrame, quota: list[int], rounds: int = 6) -> DataFrame:
         n = asked.count()
         if not n:
             break
-        # A shard's quota is dealt over as many windows as keep each of them small; the first
-        # proposal of a window may take more than its part if it fits the whole, in the first window.
+        # A shard's room is dealt over as many windows as keep each of them small.
         parts = max(1, min(MOST_WINDOWS, n // (shards * 64 * RANKED)))
         window = F.pmod(F.xxhash64(F.lit("window"), F.col("link")), F.lit(parts))
+        asked, large = asked.withColumn("window", window), None
+        if parts > 1:
+            large = staged(_large(asked, parts))
+            used = F.broadcast(large.groupBy("target").agg(F.sum("need").alias("used")))
+            asked = asked.where(F.col("need") <= F.floor(F.col("room") / parts)).join(used, "target", "left")
+            asked = asked.withColumn("room", F.col("room") - F.coalesce("used", F.lit(0))).where(F.col("need") <= F.floor(F.col("room") / parts))
         order = W.partitionBy("target", "window").orderBy(F.desc("need"), "link").rowsBetween(W.unboundedPreceding, 0)
-        taken = asked.withColumn("window", window).withColumn("sum", F.sum("need").over(order)).where(F.col("sum") <= F.floor(F.col("room") / parts))
+        taken = asked.withColumn("sum", F.sum("need").over(order)).where(F.col("sum") <= F.floor(F.col("room") / parts)).select("link", "target", "total")
+        taken = taken if large is None else taken.unionByName(large.select("link", "target", "total"))
         accepted = staged(taken.select("link", F.col("target").cast("int").alias("shard"), F.col("total").alias("n")))
         done = accepted if done is None else done.unionByName(accepted)
         before, held = held, staged(held.join(accepted.select("link"), "link", "left_anti"))

@@ -250,6 +250,19 @@ def test_sharding(docs, empty):
     assert sharding.shard(empty, 4).count() == 0
 
 
+def test_large_links_move_when_room_is_dealt_over_windows(spark, monkeypatch):
+    """As on large input: the hot link needs most of a shard's room, each window has a part of it."""
+    monkeypatch.setattr(sharding, "RANKED", 1)
+    held = spark.range(6000).selectExpr("id div 2 as link", "cast(id % 2 as int) as shard", "1L as n")
+    held = held.unionByName(spark.createDataFrame([(-1, 0, 450), (-1, 1, 450)], "link long, shard int, n long"))
+    quota = [3000 + 450 + 460] * 2
+    got = sharding.propagate(held, quota, rounds=2).collect()
+    assert [r["n"] for r in got if r["link"] == -1] == [900]
+    assert sum(r["n"] for r in got) == 6900
+    assert all(sum(r["n"] for r in got if r["shard"] == s) <= quota[s] for s in (0, 1))
+    assert len({r["link"] for r in got}) == 3001 and len(got) < 6001
+
+
 def test_language(spark, docs, empty):
     known = {"en": "the quick brown fox jumps over the lazy dog and runs", "de": "der schnelle braune fuchs springt über den faulen hund", "fr": "le renard brun saute par dessus le chien paresseux"}
     train = spark.createDataFrame([(i, known[k] + f" {i}", k) for i in range(60) for k in known], "doc_id long, text string, lang string")
