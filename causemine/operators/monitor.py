@@ -31,13 +31,15 @@ def mine_by_slice(compact: DataFrame, by: str, min_support: float, max_length: i
 def _by(compact: DataFrame, by: str, dims: list[str], min_support: float, max_length: int, within: bool) -> DataFrame:
     cells = cuboids(compact.select(F.col(by).alias("__by"), *dims, "n_all", "n_pos"), max_length + 1)
     tag = F.get(F.filter("itemset", lambda x: x.startswith("__by=")), F.lit(0))
-    own = cells.select(F.substring(tag, 6, 10_000).alias("label"), F.filter("itemset", lambda x: ~x.startswith("__by=")).alias("itemset"), "n_x", "n_xy").where("label is not null and size(itemset) > 0")
+    own = cells.select(tag.alias("tag"), F.filter("itemset", lambda x: ~x.startswith("__by=")).alias("itemset"), "n_x", "n_xy").where("tag is not null and size(itemset) > 0")
     total = compact.groupBy(F.col(by).cast("string").alias("label")).agg(F.sum("n_all").alias("n"), F.sum("n_pos").alias("n_y"))
+    # An item's text is escaped, so the value itself comes from the totals, joined by the same text.
+    total = total.withColumn("tag", F.concat(F.lit("__by="), F.replace(F.replace(F.replace("label", F.lit("\\"), F.lit("\\\\")), F.lit("="), F.lit("\\=")), F.lit("|"), F.lit("\\|"))))
     if not within:
         alone = cells.where(tag.isNull()).select("itemset", F.col("n_x").alias("whole"))
         own = own.join(alone, "itemset").withColumn("n_x", F.col("whole")).drop("whole")
         total = total.withColumn("n", F.sum("n").over(W.partitionBy(F.lit(1))))
-    found = own.join(F.broadcast(total), "label").where((F.col("n_xy") > 0) & (F.col("n_xy") * MICRO >= F.col("n_y") * round(min_support * MICRO)))
+    found = own.join(F.broadcast(total), "tag").where((F.col("n_xy") > 0) & (F.col("n_xy") * MICRO >= F.col("n_y") * round(min_support * MICRO)))
     return measured(found.select("label", "itemset", F.array_join("itemset", "|").alias("key"), F.size("itemset").alias("len"), "n", "n_y", "n_x", "n_xy"))
 
 

@@ -147,3 +147,13 @@ def test_streams_read_folders_of_unordered_files(spark, tmp_path):
     assert flows.tumbling(spark, at).groupBy().sum("n").first()[0] == 1200
     assert flows.enriched(spark, at).first()["n"] == 1200
     assert flows.final_rules(spark, at).where("key = 'event_type=view'").first()["n_x"] == 1200
+
+
+def test_slices_with_escaped_or_long_values(spark):
+    values = ["plain", "a=b|c", "back\\slash", "long" * 3000]
+    rows = [(v, x, 10, n) for v in values for x, n in (("p", 9), ("q", 1))]
+    compact = spark.createDataFrame(rows, "service string, x string, n_all long, n_pos long")
+    found = {(r["label"], r["key"]): (r["n"], r["n_y"], r["n_x"], r["n_xy"]) for r in monitor.mine_by_slice(compact, "service", 0.5, 1).collect()}
+    assert found == {(v, "x=p"): (20, 10, 10, 9) for v in values}
+    raw = spark.createDataFrame([(v, "p") for v in values], "service string, x string")
+    assert {r["label"] for r in monitor.mine_each_label(raw, ["x"], "service", 0.5, 1).collect()} == set(values)
