@@ -47,7 +47,7 @@ def pre_token_counts(docs: DataFrame, path: str, flush: int = 400_000) -> DataFr
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tokenizer = pre_tokenizer(path)
         for batch in batches:
-            pieces = tokenizer.counts(batch.column("pre_token").to_pylist())
+            pieces = tokenizer.counts(batch.column("pre_token"))
             yield pa.RecordBatch.from_arrays([batch.column("pre_token"), batch.column("freq"), pa.array(pieces, pa.int64())], ["pre_token", "freq", "pieces"])
 
     text = docs.select(F.col("text").cast("string"))

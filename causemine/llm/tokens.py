@@ -10,9 +10,7 @@ from __future__ import annotations
 
 import contextlib
 import ctypes
-import gc
 import re
-from array import array
 from collections.abc import Callable, Iterator
 from functools import lru_cache
 
@@ -26,8 +24,8 @@ _ODD = re.compile("[^\t\n\r -~À-ÖØ-öø-ÿ]")
 # The pre-token patterns of the two vocabularies, for plain characters.
 _BYTE_LEVEL = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?[A-Za-zÀ-ÖØ-öø-ÿ]+| ?[0-9]+| ?[^\sA-Za-zÀ-ÖØ-öø-ÿ0-9]+|\s+(?!\S)|\s+")
 _WORD_LEVEL = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿ]+|[0-9]|[^\sa-zß-öø-ÿ0-9]+")
-#: What the fast cuts leave out: an odd character, a special string, a space before white space.
-_SLOW = "[^\t\n\r -~À-ÖØ-öø-ÿ]|<\\||[ ][ \t\n\r]"
+#: What the fast cuts leave out: an odd character, a special string, a space before white space or at the end.
+_SLOW = "[^\t\n\r -~À-ÖØ-öø-ÿ]|<\\||[ ][ \t\n\r]|[ ]$"
 
 
 def _byte_characters() -> dict[int, str]:
@@ -38,34 +36,42 @@ def _byte_characters() -> dict[int, str]:
 
 
 class _Kept:
-    """Values by key within a bound. A full generation becomes the older one, from which what is
-    asked for again comes back, so frequent keys stay."""
-
-    def __init__(self, most: int) -> None:
-        self.most, self.newer, self.older = most, {}, {}
-
-    def get(self, keys: list[str], make: Callable[[list[str]], list[bytes]]) -> list[bytes]:
-        if len(self.newer) >= self.most:
-            self.newer, self.older = {}, self.newer
-        values = list(map(self.newer.get, keys))
-        lacking = [i for i, v in enumerate(values) if v is None]
-        for i in lacking:
-            if (v := self.older.get(keys[i])) is not None:
-                self.newer[keys[i]] = values[i] = v
-        lacking = [i for i in lacking if values[i] is None]
-        own = [keys[i] for i in lacking]  # keys are distinct
-        for i, key, v in zip(lacking, own, make(own), strict=True):
-            self.newer[key] = values[i] = v
-        return values
+    """Ids of texts within a bound of entries, as flat arrays of a few bytes an entry. When the bound
+    is reached, what the last call used stays, so frequent texts do."""
+
+    def __init__(self, most: int, dtype: np.dtype) -> None:
+        self.most, self.texts = most, pa.array([], pa.string())
+        self.ids, self.sizes = np.empty(0, dtype), np.empty(0, np.int32)
+
+    def get(self, texts: pa.Array, make: Callable[[pa.Array], tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Ids of distinct texts: a flat array, and where in it each text's ids start and how many
+        they are. make gives the ids of texts that are not kept, in a row, and their numbers."""
+        at = pc.index_in(texts, value_set=self.texts)
+        lacking = at.is_null()
+        own = texts.filter(lacking)
+        ids, sizes = make(own)
+        place = pc.fill_null(at, 0).to_numpy().astype(np.int64)
+        place[lacking.to_numpy(zero_copy_only=False)] = len(self.texts) + np.arange(len(own))
+        ids, sizes = np.concatenate((self.ids, ids)), np.concatenate((self.sizes, sizes.astype(np.int32)))
+        starts = np.cumsum(sizes, dtype=np.int64) - sizes
+        if len(sizes) <= self.most:
+            self.texts, self.ids, self.sizes = pa.concat_arrays([self.texts, own]), ids, sizes
+        else:
+            last = place[: self.most]
+            self.texts = texts.slice(0, len(last))
+            self.ids, _ = _gathered(ids, starts[last], sizes[last])
+            self.sizes = sizes[last]
+        return ids, starts[place], sizes[place]
 
 
 class PreTokenizer:
     """Pre-tokens, ids and counts of texts by the vocabulary file at path.
 
-    most bounds each of the kept dictionaries, and so the memory of a worker.
+    most bounds the texts whose ids are kept from slice to slice: units, which stand between spaces,
+    and pre-tokens, half of it each.
     """
 
-    def __init__(self, path: str, most: int = 600_000) -> None:
+    def __init__(self, path: str, most: int = 1_000_000) -> None:
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
@@ -78,50 +84,61 @@ class PreTokenizer:
         self._most = most
         wide = self.library.get_vocab_size(with_added_tokens=True) > 65536
         self.dtype = np.dtype("<u4") if wide else np.dtype("<u2")
-        self._code = "I" if wide else "H"
-        self._first, self._later, self._one = _Kept(most // 16), _Kept(most // 3), _Kept(most)
-
-    def _packed(self, ids: list[int]) -> bytes:
-        return array(self._code, ids).tobytes()
+        self._plain = "^[a-zß-öø-ÿ]+$" if self.words else "^ [A-Za-zÀ-ÖØ-öø-ÿ]+$"
+        # The ids whose piece begins with a space; no piece has one elsewhere.
+        self._spaced = np.zeros(1 + max(self.library.get_vocab(with_added_tokens=True).values()), bool)
+        self._spaced[[i for t, i in self.library.get_vocab().items() if t.startswith(self._byte[32])]] = True
+        self._kept_units, self._kept_pre_tokens = _Kept(most // 2, self.dtype), _Kept(most // 2, self.dtype)
 
     def pieces(self, pre_token: str) -> list[int]:
         shown = pre_token.encode().decode("latin-1").translate(self._byte)
         return [t.id for t in self.model.tokenize(shown)]
 
-    def n_pieces(self, pre_token: str) -> int:
-        return 1 if pre_token in self.special else len(self.pieces(pre_token))
-
-    def _made(self, pre_tokens: list[str]) -> list[bytes]:
-        """Ids of distinct pre-tokens. Words go to the library joined, which it cuts the same way."""
-        lead = "" if self.words else " "
-        words = [p for p in pre_tokens if p.startswith(lead) and p[len(lead) :].isalpha() and not _ODD.search(p)]
-        made: dict[str, bytes] = {}
-        for i in range(0, len(words), 4096):
-            some = words[i : i + 4096]
-            found = self.library.encode((" " if self.words else "").join(some), add_special_tokens=False)
-            of = np.array(found.word_ids, np.int64)
-            starts = np.flatnonzero(np.diff(of, prepend=-1)).tolist()
-            if len(starts) == len(some):
-                kept, w = self._packed(found.ids), self.dtype.itemsize
-                bounds = [w * x for x in starts] + [len(kept)]
-                made.update((p, kept[bounds[k] : bounds[k + 1]]) for k, p in enumerate(some))
-        return [made[p] if p in made else self._packed(self.pieces(p)) for p in pre_tokens]
-
-    def counts(self, pre_tokens: list[str]) -> list[int]:
+    def _words_made(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of plain words and how many each has: as one text, which the library cuts the same way."""
+        found = self.library.encode((" " if self.words else "").join(words), add_special_tokens=False)
+        ids = np.array(found.ids, self.dtype)
+        starts = np.flatnonzero(np.diff(np.array(found.word_ids, np.int64), prepend=-1) if self.words else self._spaced[ids])
+        if len(starts) == len(words):
+            return ids, np.diff(starts, append=len(ids))
+        return self._one_by_one(words)
+
+    def _one_by_one(self, pre_tokens: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        lists = list(map(self.pieces, pre_tokens))
+        return np.array([i for own in lists for i in own], self.dtype), np.fromiter(map(len, lists), np.int64, len(lists))
+
+    def _made(self, pre_tokens: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of distinct pre-tokens, in a row, and how many each has."""
+        plain = pc.match_substring_regex(pre_tokens, self._plain).to_numpy(zero_copy_only=False)
+        words = pre_tokens.filter(pa.array(plain)).to_pylist()
+        parts = [self._words_made(words[i : i + 4096]) for i in range(0, len(words), 4096)]
+        parts.append(self._one_by_one(pre_tokens.filter(pa.array(~plain)).to_pylist()))
+        ids, sizes = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
+        starts = np.cumsum(sizes) - sizes
+        place = np.empty(len(plain), np.int64)
+        place[np.concatenate((np.flatnonzero(plain), np.flatnonzero(~plain)))] = np.arange(len(plain))
+        return _gathered(ids, starts[place], sizes[place])[0], sizes[place]
+
+    def counts(self, pre_tokens: pa.Array) -> np.ndarray:
         """How many pieces each distinct pre-token has."""
-        w = self.dtype.itemsize
-        return [1 if p in self.special else len(x) // w for p, x in zip(pre_tokens, self._made(pre_tokens), strict=True)]
+        sizes = self._made(pre_tokens)[1]
+        if self.special:
+            sizes[pc.is_in(pre_tokens, value_set=pa.array(list(self.special), pa.string())).to_numpy(zero_copy_only=False)] = 1
+        return sizes
 
-    def _units_made(self, units: list[str], lead: str) -> list[bytes]:
+    def _cut(self, units: pa.Array) -> tuple[pa.Array, np.ndarray, np.ndarray]:
+        """The distinct pre-tokens of units, the number of each in its place, and how many a unit has."""
         cut = (_WORD_LEVEL if self.words else _BYTE_LEVEL).findall
-        gc.disable()  # many small lists and no cycles: collections would find nothing
-        try:
-            lists = [cut(lead + u) for u in units]
-            own = list({p for found in lists for p in found})
-            ids = dict(zip(own, self._one.get(own, self._made), strict=True))
-            return [ids[x[0]] if len(x) == 1 else b"".join([ids[p] for p in x]) for x in lists]
-        finally:
-            gc.enable()
+        lists = list(map(cut, units.to_pylist()))
+        coded = pa.array([p for own in lists for p in own], pa.string()).dictionary_encode()
+        return coded.dictionary, coded.indices.to_numpy(), np.fromiter(map(len, lists), np.int32, len(lists))
+
+    def _units_made(self, units: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        pre_tokens, codes, many = self._cut(units)
+        ids, starts, sizes = self._kept_pre_tokens.get(pre_tokens, self._made)
+        flat, ends = _gathered(ids, starts[codes], sizes[codes])
+        ends = np.concatenate(([0], ends))[np.concatenate(([0], np.cumsum(many)))]
+        return flat, np.diff(ends)
 
     def _odd(self, text: str) -> bool:
         return _ODD.search(text) is not None or ("<|" in text and self._special is not None)
@@ -145,39 +162,36 @@ class PreTokenizer:
 
     def ids(self, text: str) -> np.ndarray:
         """The ids of one whole text."""
-        packed = [self._packed([self.special[p]] if p in self.special else self.pieces(p)) for p in self.pre_tokens(text)]
-        return np.frombuffer(b"".join(packed), dtype=self.dtype)
+        lists = [[self.special[p]] if p in self.special else self.pieces(p) for p in self.pre_tokens(text)]
+        return np.array([i for own in lists for i in own], self.dtype)
 
-    def _units(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray, list[str], int]:
-        """Cut plain texts where BPE never merges, at white space: the code of each unit, where
-        each text starts, the distinct units, and from which code on a unit starts a text."""
+    def _units(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray, pa.Array]:
+        """Cut plain texts where BPE never merges, at white space: the number of each unit, where
+        each text starts, and the distinct units."""
         lists = pc.ascii_split_whitespace(pc.utf8_lower(texts)) if self.words else pc.split_pattern(texts, " ")
         offsets = lists.offsets.to_numpy().astype(np.int64)
         coded = lists.values.slice(offsets[0], offsets[-1] - offsets[0]).dictionary_encode()
-        codes, units = coded.indices.to_numpy().astype(np.int64), _strings(coded.dictionary)
+        codes, units = coded.indices.to_numpy(), coded.dictionary
         offsets = offsets - offsets[0]
         if self.words:
-            return codes, offsets, units, len(units)
+            return codes, offsets, units
         # A space belongs to the pre-token after it; the first unit of a text has none before it.
         starts = pc.list_element(lists, 0).dictionary_encode()
-        codes[offsets[:-1]] = starts.indices.to_numpy().astype(np.int64) + len(units)
-        return codes, offsets, units + _strings(starts.dictionary), len(units)
+        codes = codes.copy()
+        codes[offsets[:-1]] = starts.indices.to_numpy() + len(units)
+        return codes, offsets, pa.concat_arrays([pc.binary_join_element_wise("", units, " "), starts.dictionary])
 
     def ids_of(self, texts: pa.Array) -> list[np.ndarray]:
         """The ids of each whole text; a null text has none."""
-        texts = pc.fill_null(texts, "")
+        texts = pc.fill_null(texts.cast(pa.string()), "")
         slow = pc.match_substring_regex(texts, _SLOW).to_numpy(zero_copy_only=False)
         found: list[np.ndarray] = [None] * len(texts)
         for i in np.flatnonzero(slow):
             found[i] = self.ids(texts[int(i)].as_py())
         if not slow.all():
-            codes, offsets, units, first = self._units(texts.filter(pa.array(~slow)))
-            lead = "" if self.words else " "
-            packed = self._later.get(units[:first], lambda own: self._units_made(own, lead))
-            packed += self._first.get(units[first:], lambda own: self._units_made(own, ""))
-            sizes = np.fromiter(map(len, packed), np.int64, len(packed)) // self.dtype.itemsize
-            kept = np.frombuffer(b"".join(packed), dtype=self.dtype)
-            flat, ends = _gathered(kept, sizes, codes)
+            codes, offsets, units = self._units(texts.filter(pa.array(~slow)))
+            ids, starts, sizes = self._kept_units.get(units, self._units_made)
+            flat, ends = _gathered(ids, starts[codes], sizes[codes])
             bounds = np.concatenate(([0], ends))[offsets]
             for i, a, b in zip(np.flatnonzero(~slow), bounds[:-1], bounds[1:], strict=True):
                 found[i] = flat[a:b]
@@ -186,36 +200,33 @@ class PreTokenizer:
     def frequencies(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray, list[str]]:
         """Each pre-token of each text: the text's number, the pre-token's number, and the distinct
         pre-tokens. The pairs repeat as the pre-tokens do."""
-        texts = pc.fill_null(texts, "")
+        texts = pc.fill_null(texts.cast(pa.string()), "")
         slow = pc.match_substring_regex(texts, _SLOW).to_numpy(zero_copy_only=False)
-        number: dict[str, int] = {}
+        names: list[str] = []
         docs, found = [], []
-        for i in np.flatnonzero(slow):
-            own = [number.setdefault(p, len(number)) for p in self.pre_tokens(texts[int(i)].as_py())]
-            docs.append(np.full(len(own), i, np.int64))
-            found.append(np.array(own, np.int64))
         if not slow.all():
-            codes, offsets, units, first = self._units(texts.filter(pa.array(~slow)))
-            cut = (_WORD_LEVEL if self.words else _BYTE_LEVEL).findall
-            lists = [cut(u) for u in units] if self.words else [cut(" " + u) for u in units[:first]] + [cut(u) for u in units[first:]]
-            kept = np.fromiter((number.setdefault(p, len(number)) for own in lists for p in own), np.int64)
-            flat, ends = _gathered(kept, np.fromiter(map(len, lists), np.int64, len(lists)), codes)
+            codes, offsets, units = self._units(texts.filter(pa.array(~slow)))
+            pre_tokens, kept, many = self._cut(units)
+            flat, ends = _gathered(kept, (np.cumsum(many, dtype=np.int64) - many)[codes], many[codes])
             bounds = np.concatenate(([0], ends))[offsets]
             docs.append(np.repeat(np.flatnonzero(~slow), np.diff(bounds)))
-            found.append(flat)
-        return np.concatenate(docs), np.concatenate(found), list(number)
-
-
-def _strings(values: pa.Array) -> list[str]:
-    return values.to_numpy(zero_copy_only=False).tolist()
-
-
-def _gathered(kept: np.ndarray, sizes: np.ndarray, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The runs of kept (run i has sizes[i] values) that codes name, one after the other, and where each ends."""
-    starts = (np.cumsum(sizes) - sizes).astype(np.int32)
-    size = sizes[codes]
-    ends = np.cumsum(size)
-    at = np.repeat(starts[codes] - (ends - size).astype(np.int32), size)
+            found.append(flat.astype(np.int64))
+            names = pre_tokens.to_pylist()
+        if slow.any():
+            number = {p: n for n, p in enumerate(names)}
+            for i in np.flatnonzero(slow):
+                own = [number.setdefault(p, len(number)) for p in self.pre_tokens(texts[int(i)].as_py())]
+                docs.append(np.full(len(own), i, np.int64))
+                found.append(np.array(own, np.int64))
+            names = list(number)
+        empty = np.empty(0, np.int64)
+        return np.concatenate([*docs, empty]), np.concatenate([*found, empty]), names
+
+
+def _gathered(kept: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The runs of kept that begin at starts, one after the other, and where each then ends."""
+    ends = np.cumsum(sizes, dtype=np.int64)
+    at = np.repeat((starts - (ends - sizes)).astype(np.int32), sizes)
     at += np.arange(len(at), dtype=np.int32)
     return kept[at], ends
 
@@ -237,7 +248,7 @@ def by_bytes(batches: Iterator[pa.RecordBatch], column: str = "text", most: int
 
 
 @lru_cache(maxsize=2)
-def pre_tokenizer(path: str, most: int = 600_000) -> PreTokenizer:
+def pre_tokenizer(path: str, most: int = 1_000_000) -> PreTokenizer:
     """One for each worker and vocabulary; a worker keeps it from task to task."""
     return PreTokenizer(path, most)
 
