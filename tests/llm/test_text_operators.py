@@ -1,7 +1,6 @@
 """The operators on texts against brute force, on a small table with nulls, empty, long, repeated and
 odd texts and columns with clashing names."""
 
-import hashlib
 import random
 import re
 import zlib
@@ -97,7 +96,8 @@ def test_best_fit_takes_the_tightest_window():
             rooms[w] -= lengths[i]
         else:
             rooms.append(50 - lengths[i])
-    assert used == len(rooms) and sorted(want) == sorted(want)
+    order = sorted(range(300), key=lambda i: -lengths[i])
+    assert used == len(rooms) and [50 - int(offset[i]) - lengths[i] for i in order] == want
     held = Counter()
     for n, w in zip(lengths, number):
         held[w] += n
@@ -124,8 +124,9 @@ def test_rans_round_trip_and_damage():
         coder = rans.Table(rans.normalised(np.bincount(own, minlength=1000)))
         block = rans.encode(own, coder, every=8)
         assert (rans.decode(block, coder) == own).all()
-        parts = [rans.decode_segment(block, coder, k) for k in range(rans.segments(block))]
-        assert (np.concatenate(parts[::-1][::-1]) == own).all()
+        parts = {k: rans.decode_segment(block, coder, k) for k in reversed(range(rans.segments(block)))}
+        assert (np.concatenate([parts[k] for k in sorted(parts)]) == own).all()
+        assert len(parts) > 1 or n < 70_000
     bad = bytearray(block)
     bad[-3] ^= 1
     with pytest.raises((ValueError, IndexError)):
@@ -183,7 +184,7 @@ def test_quality_counts(docs, empty):
 def test_quality_repeats_and_sketches_merge(spark):
     text = "a b c d e x a b c d e f b c d e f\n\nq\nq\n "
     r = quality_rules.score(spark.createDataFrame([(1, text, "en", None)], "doc_id long, text string, lang string, source string")).first()
-    assert (r["n_repeat_words"], r["n_dup_lines"]) == (11, 1) or r["n_repeat_words"] >= 10
+    assert (r["n_words"], r["n_repeat_words"], r["n_dup_lines"], r["n_symbols"]) == (19, 16, 1, 0)
 
 
 def test_quality_fences_follow_their_group(spark):
@@ -310,7 +311,3 @@ def test_pages_keep_the_whole_of_a_long_article():
     assert main_text(f"<div>{links}{beside}{inner}{links}</div>") == want
     assert main_text(f"<body><p>Shop.</p>{links}<article>{inner}</article>") == "\n".join(long)
     assert main_text("<article>" + beside + inner.replace("</div>", "<h2>Part</h2><p>End.</p></div>") + "<div>Last words.</div></article>").endswith("\nPart\nEnd.\nLast words.")
-
-
-def test_empty_hash():
-    assert hashlib.sha256(b"").hexdigest().startswith("e3b0c442")
