@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from statistics import NormalDist
 
 from pyspark.sql import DataFrame
@@ -32,12 +33,18 @@ def chi2_critical(alpha: float) -> float:
 
 def contrast_sets(compact: DataFrame, alpha: float = 0.05, min_dev: float = 0.01, max_length: int = 3, least: int = 1) -> DataFrame:
     """A contrast-set search: a set is extended only if the target and the rest differ on it, by
-    chi-square at this level's share of alpha, and by min_dev in support. It cannot find a pair
-    of items none of which differs alone."""
+    chi-square at the level's share of alpha, and by min_dev in support. It cannot find a pair of
+    items none of which differs alone. Half of what is left of alpha goes to each level, dealt over
+    its candidates, and no level has more for one test than the level before."""
     n, p = totals(compact)
     four = ("n_xy", "n_x", F.lit(p), F.lit(n))
     deviation = F.abs(F.try_divide(F.col("n_xy").cast("double"), F.lit(float(p))) - F.try_divide((F.col("n_x") - F.col("n_xy")).cast("double"), F.lit(float(n - p))))
-    keep = (m.chi2(*four) > chi2_critical(alpha)) & (deviation > min_dev)
+    shares: dict[int, float] = {}
+
+    def keep(k: int, candidates: int):
+        shares[k] = min(alpha / 2**k / max(1, candidates), shares.get(k - 1, alpha))
+        return (m.chi2(*four) > chi2_critical(shares[k])) & (deviation > min_dev)
+
     found = mine_levelwise(compact, least, max_length, keep=keep)
     return found.select("*", m.chi2(*four).alias("chi2"), deviation.alias("deviation"))
 
@@ -45,7 +52,7 @@ def contrast_sets(compact: DataFrame, alpha: float = 0.05, min_dev: float = 0.01
 def prune_by_lift(compact: DataFrame, least: int, max_length: int, min_lift: float) -> DataFrame:
     """Lift as a condition inside the search: it loses what only shows jointly."""
     n, p = totals(compact)
-    return mine_levelwise(compact, least, max_length, keep=m.lift("n_xy", "n_x", F.lit(p), F.lit(n)) >= min_lift)
+    return mine_levelwise(compact, least, max_length, keep=lambda k, c: m.lift("n_xy", "n_x", F.lit(p), F.lit(n)) >= min_lift)
 
 
 def item_vectors(compact: DataFrame, items: Items) -> DataFrame:
@@ -58,16 +65,32 @@ def item_vectors(compact: DataFrame, items: Items) -> DataFrame:
     return rows.select(array_to_vector(dense).alias("features"), both.alias("b")).select("features", "b.label", F.col("b.w").cast("double").alias("weight")).where("weight > 0")
 
 
+def tree_paths(debug: str, names: list[str]) -> list[tuple[str, float]]:
+    """The ways from the root to the leaves of a tree's printed form, as (rule, predicted label)."""
+    found, way = [], []
+    for line in debug.split("\n"):
+        text = line.strip()
+        depth = len(line) - len(line.lstrip())
+        if test := re.match(r"(If|Else) \(feature (\d+) (<=|>|in|not in) (.*)\)", text):
+            way = [w for w in way if w[0] < depth]
+            name = names[int(test[2])]
+            way.append((depth, name if test[3] == ">" or (test[3] == "in" and "1.0" in test[4]) else f"not {name}"))
+        elif text.startswith("Predict"):
+            found.append((" and ".join(w[1] for w in way if w[0] < depth), float(text.rpartition(" ")[2])))
+    return found
+
+
 def tree_baseline(compact: DataFrame, items: Items, depth: int = 4) -> DataFrame:
-    """A decision tree over items: the importance of each."""
+    """A decision tree over items, its ways to the leaves read as rules, with their lengths."""
     from pyspark.ml.classification import DecisionTreeClassifier
 
     model = DecisionTreeClassifier(maxDepth=depth, weightCol="weight").fit(item_vectors(compact, items))
-    found = [(items.name(i), float(v)) for i, v in enumerate(model.featureImportances.toArray())]
-    return compact.sparkSession.createDataFrame(found, "item string, importance double").where("importance > 0")
+    paths = tree_paths(model.toDebugString, [items.name(i) for i in range(len(items))])
+    return compact.sparkSession.createDataFrame([(r, r.count(" and ") + 1, p) for r, p in paths], "rule string, len int, prediction double")
 
 
 def forest_baseline(compact: DataFrame, items: Items, trees: int = 10, depth: int = 4) -> DataFrame:
+    """A random forest: the importance of each item, as its many ways are beyond reading."""
     from pyspark.ml.classification import RandomForestClassifier
 
     model = RandomForestClassifier(numTrees=trees, maxDepth=depth, weightCol="weight", seed=1).fit(item_vectors(compact, items))
@@ -83,11 +106,15 @@ def logit_baseline(compact: DataFrame, items: Items) -> DataFrame:
     return compact.sparkSession.createDataFrame([(items.name(i), float(v)) for i, v in enumerate(model.coefficients.toArray())], "item string, coefficient double")
 
 
-def bayes_baseline(compact: DataFrame, items: Items, patterns: list[list[int]]) -> DataFrame:
-    """Naive Bayes on which mined patterns a row holds: it predicts, and explains nothing."""
+def bayes_baseline(compact: DataFrame, items: Items, mined: DataFrame, top: int = 20) -> DataFrame:
+    """Naive Bayes on which mined patterns (the rules of the greatest lift) a row holds: it predicts,
+    and explains nothing."""
     from pyspark.ml.classification import NaiveBayes
     from pyspark.ml.functions import array_to_vector
 
+    place = {items.name(i): i for i in range(len(items))}
+    best = mined.orderBy(F.desc("lift"), F.desc("supp"), "key").select("itemset").limit(top).collect()
+    patterns = [[place[x] for x in r["itemset"]] for r in best]
     rows = itemize(compact, items)
     holds = F.array(*[(F.size(F.array_intersect("items", F.array(*map(F.lit, p)))) == len(p)).cast("double") for p in patterns])
     both = F.explode(F.array(F.struct(F.lit(1.0).alias("label"), F.col("n_pos").alias("w")), F.struct(F.lit(0.0).alias("label"), (F.col("n_all") - F.col("n_pos")).alias("w"))))

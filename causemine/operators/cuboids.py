@@ -8,7 +8,7 @@ from itertools import combinations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .items import dims_of
+from .items import dims_of, escape
 
 
 def cuboids(compact: DataFrame, max_length: int) -> DataFrame:
@@ -17,8 +17,9 @@ def cuboids(compact: DataFrame, max_length: int) -> DataFrame:
     sets = [s for k in range(1, min(max_length, len(dims)) + 1) for s in combinations(dims, k)]
     quoted = lambda c: "`" + c.replace("`", "``") + "`"
     groups = ", ".join("(" + ", ".join(map(quoted, s)) + ")" for s in sets)
+    name = lambda c: escape(c).replace("\\", "\\\\").replace("'", "\\'")
     escaped = lambda c: f"replace(replace(replace(cast({quoted(c)} as string), '\\\\', '\\\\\\\\'), '=', '\\\\='), '|', '\\\\|')"
-    part = ", ".join(f"case when grouping({quoted(c)}) = 0 then concat('{c}=', {escaped(c)}) end" for c in dims)
+    part = ", ".join(f"case when grouping({quoted(c)}) = 0 then concat('{name(c)}=', {escaped(c)}) end" for c in dims)
     whole = " and ".join(f"(grouping({quoted(c)}) = 1 or {quoted(c)} is not null)" for c in dims)
     text = f"select array_compact(array({part})) as itemset, sum(n_all) as n_x, sum(n_pos) as n_xy, {whole} as whole from {{compact}} group by grouping sets ({groups})"
     return compact.sparkSession.sql(text, compact=compact).where("whole").select("itemset", F.size("itemset").alias("len"), "n_x", "n_xy")

@@ -52,6 +52,21 @@ class Items:
     def __len__(self) -> int:
         return len(self.entries)
 
+    @classmethod
+    def of_some(cls, compact: DataFrame, by: str, least: DataFrame) -> Items:
+        """The items that are frequent in some group. least: by, least. Bounded by groups times
+        columns / min_support, and by the values there are."""
+        dims = [c for c in dims_of(compact) if c != by]
+        whole = compact.select(by, *COUNTS, *[F.col(c).cast("string").alias(c) for c in dims]).unpivot([by, *COUNTS], dims, "col", "val").where("val is not null")
+        per = whole.groupBy(by, "col", "val").agg(F.sum("n_all").alias("n_x"), F.sum("n_pos").alias("n_xy")).join(least, by)
+        some = per.groupBy("col", "val").agg(F.sum("n_x").alias("n_x"), F.sum("n_xy").alias("n_xy"), F.max(F.col("n_xy") >= F.col("least")).alias("frequent"))
+        found = [(r["col"], r["val"], r["n_x"], r["n_xy"]) for r in some.where("frequent").collect()]
+        return cls(dims, sorted(found, key=lambda e: (-e[3], e[0], e[1])))
+
+    def supported(self) -> list[str]:
+        """The columns with some frequent value; the others cannot be part of any rule."""
+        return [d for d in self.dims if any(e[0] == d for e in self.entries)]
+
     @property
     def columns(self) -> list[int]:
         """The number of each item's column: two items of one column never occur together."""
@@ -59,7 +74,7 @@ class Items:
 
     def name(self, i: int) -> str:
         col, val, *_ = self.entries[i]
-        return f"{col}={escape(val)}"
+        return f"{escape(col)}={escape(val)}"
 
     def named(self, items: Column) -> Column:
         """An array of item numbers as `col=val` texts in the order of the columns."""
@@ -75,9 +90,9 @@ def escape(value: str) -> str:
     return value
 
 
-def itemize(compact: DataFrame, items: Items, null_items: str = "drop") -> DataFrame:
-    """items (numbers, sorted by rank), n_all, n_pos. Infrequent values are left out and rows that
-    then are equal become one, which is a second compaction."""
+def itemize(compact: DataFrame, items: Items, null_items: str = "drop", extra: tuple[str, ...] = ()) -> DataFrame:
+    """items (numbers, sorted by rank), n_all, n_pos and extra columns. Infrequent values are left out
+    and rows that then are equal become one, which is a second compaction."""
     found = []
     for d in items.dims:
         value = F.col(d).cast("string") if null_items == "drop" else F.coalesce(F.col(d).cast("string"), F.lit("∅"))
@@ -85,7 +100,7 @@ def itemize(compact: DataFrame, items: Items, null_items: str = "drop") -> DataF
         if own:
             found.append(F.element_at(F.create_map(*[F.lit(x) for pair in own for x in pair]), value))
     row = F.array_sort(F.array_compact(F.array(*found))) if found else F.array().cast("array<int>")
-    return compact.select(row.alias("items"), *COUNTS).groupBy("items").agg(*[F.sum(c).alias(c) for c in COUNTS])
+    return compact.select(row.alias("items"), *COUNTS, *extra).groupBy("items", *extra).agg(*[F.sum(c).alias(c) for c in COUNTS])
 
 
 def compact_again(compact: DataFrame, items: Items) -> DataFrame:

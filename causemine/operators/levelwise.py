@@ -1,17 +1,17 @@
-"""Level-wise mining by joins: sets of k items are joined to candidates of k + 1, pruned by downward
-closure, and counted where rows already hold their prefix."""
+"""Level-wise mining: sets of k items are joined to candidates of k + 1, pruned by downward closure,
+and counted in one scan for each level."""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.staging import staged
+from .counting import count_sets
 from .items import Items, itemize
 
-#: Candidates that are broadcast; more are joined by shuffle.
-BROADCAST_MOST = 500_000
-
 
 def next_candidates(level: DataFrame, columns: list[int]) -> DataFrame:
     """items of k + 1 from sets that share all but their last item, of different columns."""
@@ -31,52 +31,40 @@ def prune_candidates(candidates: DataFrame, level: DataFrame) -> DataFrame:
     return less.join(known, "subset", "left_semi").groupBy("items").agg(F.count("*").alias("c")).where(F.col("c") == F.size("items")).select("items")
 
 
-def _extended(held: DataFrame, sets: DataFrame, few: bool) -> DataFrame:
-    """Rows with each set that they hold, from rows with the sets of one item less."""
-    own = sets.select(F.slice("items", 1, F.size("items") - 1).alias("set"), F.element_at("items", -1).alias("last"))
-    joined = held.join(F.broadcast(own) if few else own, "set").where(F.array_contains("items", F.col("last")))
-    return joined.select("items", "n_all", "n_pos", F.concat("set", F.array("last")).alias("set"))
-
-
-def _singles(rows: DataFrame) -> DataFrame:
-    return rows.select("items", "n_all", "n_pos", F.explode("items").alias("i")).select("items", "n_all", "n_pos", F.array("i").alias("set"))
+def first_level(items: Items, spark) -> DataFrame:
+    """The frequent items, whose counts the dictionary has."""
+    return spark.createDataFrame([([i], n_x, n_xy) for i, (_, _, n_x, n_xy) in enumerate(items.entries)], "items array<int>, n_x bigint, n_xy bigint")
 
 
-def count_candidates(held: DataFrame) -> DataFrame:
-    """The weights of each set; every task sums its own rows first."""
-    return held.groupBy(F.col("set").alias("items")).agg(F.sum("n_all").alias("n_x"), F.sum("n_pos").alias("n_xy"))
-
-
-def mine_levelwise(compact: DataFrame, least: int, max_length: int, parallelism: int | None = None, items: Items | None = None, keep: Column | None = None, reference: bool = True) -> DataFrame:
+def mine_levelwise(compact: DataFrame, least: int, max_length: int, parallelism: int | None = None, items: Items | None = None, keep: Callable[[int, int], Column] | None = None, reference: bool = True) -> DataFrame:
     """itemset, len, n_x, n_xy of all sets with the least weight in the target.
 
-    parallelism fixes how many tasks share the candidates (1: one after the other); None leaves it
-    to the planner. keep: a further condition on a level's counts (n_x, n_xy) that prunes the
-    search; used by baselines alone, as it loses sets.
+    parallelism: how many tasks share a level's candidates, each over all rows (1: one after the
+    other); None lets tasks share the rows instead. keep(k, n): a further condition on the counts (n_x,
+    n_xy) of level k, which has n candidates; used by baselines alone, as it loses sets.
     """
     items = items or Items.of(compact, least)
     rows = staged(itemize(compact, items))
-    inside = rows.where("n_pos > 0") if keep is None else rows  # the search needs the target's rows alone
-    held, levels, n = _singles(inside), [], len(items)
+    whole = keep is not None  # the search needs the target's rows alone, unless a condition asks for all
+    inside = rows if whole else rows.where("n_pos > 0")
+    level, levels, n = first_level(items, compact.sparkSession), [], len(items)
     for k in range(1, max_length + 1):
-        counted = count_candidates(held).where(F.col("n_xy") >= least)
-        level = staged(counted if keep is None else counted.where(keep))
-        n = level.count()  # one number to the driver: go on or stop
-        if not n:
+        level = level if keep is None else level.where(keep(k, n))
+        level = staged(level.where(F.col("n_xy") >= least))
+        if level.isEmpty():
             break
         levels.append(level)
         if k == max_length or k == len(items.dims):
             break
-        candidates = prune_candidates(next_candidates(level, items.columns), level) if k > 1 else next_candidates(level, items.columns)
-        if parallelism:
-            candidates = candidates.repartition(parallelism, "items")
+        candidates = next_candidates(level, items.columns)
+        if k > 1:
+            candidates = prune_candidates(candidates, level)
         candidates = staged(candidates)
         n = candidates.count()
-        held = _extended(held, candidates, n <= BROADCAST_MOST)
-        held = staged(held.coalesce(1) if parallelism == 1 else held)
+        level = count_sets(inside, candidates, parallelism)
     found = _union(levels) if levels else compact.sparkSession.createDataFrame([], "items array<int>, n_x bigint, n_xy bigint")
-    if reference and keep is None:
-        found = count_reference(found.select("items"), rows, max_length)
+    if reference and not whole and levels:
+        found = count_reference(found, rows, items)
     return named(found, items)
 
 
@@ -87,21 +75,11 @@ def _union(parts: list[DataFrame]) -> DataFrame:
     return whole
 
 
-def count_reference(sets: DataFrame, rows: DataFrame, max_length: int) -> DataFrame:
-    """items, n_x, n_xy over all rows, for a family of sets that has the prefixes of its members."""
-    sets = staged(sets)
-    sizes = {r["k"]: r["count"] for r in sets.groupBy(F.size("items").alias("k")).count().collect()}
-    held, counted = _singles(rows), []
-    for k in range(1, max_length + 1):
-        if k not in sizes:
-            break
-        own = sets.where(F.size("items") == k)
-        if k == 1:
-            held = held.join(F.broadcast(own.select(F.col("items").alias("set"))), "set", "left_semi")
-        else:
-            held = staged(_extended(held, own, sizes[k] <= BROADCAST_MOST))
-        counted.append(count_candidates(held))
-    return _union(counted) if counted else sets.select("items", F.lit(0).cast("long").alias("n_x"), F.lit(0).cast("long").alias("n_xy"))
+def count_reference(found: DataFrame, rows: DataFrame, items: Items) -> DataFrame:
+    """items, n_x, n_xy over all rows for found sets; the dictionary has those of single items."""
+    longer = staged(found.where("size(items) > 1").select("items"))
+    singles = first_level(items, rows.sparkSession).join(found.select("items"), "items", "left_semi")
+    return singles.unionByName(count_sets(rows, longer))
 
 
 def named(found: DataFrame, items: Items) -> DataFrame:

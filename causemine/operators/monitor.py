@@ -8,13 +8,16 @@ from pyspark.sql import functions as F
 
 from ..config import MICRO
 from ..functions import metrics as m
-from .cuboids import cuboids
-from .items import dims_of
+from ..plans.staging import staged
+from .counting import count_sets
+from .items import Items, dims_of, itemize
+from .items import totals as items_totals
+from .patterntree import mine_units
 from .rules import measured
 
 
 def mine_each_label(df: DataFrame, dims: list[str], label: str, min_support: float, max_length: int) -> DataFrame:
-    """Rules for each label value in turn, the others being its reference, from one grouping.
+    """Rules for each label value in turn, the others being its reference, from one search.
 
     The label is a column of the compact table; a set's reference count is its sum over labels.
     """
@@ -29,18 +32,21 @@ def mine_by_slice(compact: DataFrame, by: str, min_support: float, max_length: i
 
 
 def _by(compact: DataFrame, by: str, dims: list[str], min_support: float, max_length: int, within: bool) -> DataFrame:
-    cells = cuboids(compact.select(F.col(by).alias("__by"), *dims, "n_all", "n_pos"), max_length + 1)
-    tag = F.get(F.filter("itemset", lambda x: x.startswith("__by=")), F.lit(0))
-    own = cells.select(tag.alias("tag"), F.filter("itemset", lambda x: ~x.startswith("__by=")).alias("itemset"), "n_x", "n_xy").where("tag is not null and size(itemset) > 0")
-    total = compact.groupBy(F.col(by).cast("string").alias("label")).agg(F.sum("n_all").alias("n"), F.sum("n_pos").alias("n_y"))
-    # An item's text is escaped, so the value itself comes from the totals, joined by the same text.
-    total = total.withColumn("tag", F.concat(F.lit("__by="), F.replace(F.replace(F.replace("label", F.lit("\\"), F.lit("\\\\")), F.lit("="), F.lit("\\=")), F.lit("|"), F.lit("\\|"))))
+    """One search by pattern trees whose units carry the value of `by`; rows without one are left out."""
+    spark = compact.sparkSession
+    own = staged(compact.select(F.col(by).cast("string").alias("by"), *dims, "n_all", "n_pos").where("by is not null"))
+    total = staged(own.groupBy("by").agg(F.sum("n_all").alias("n"), F.sum("n_pos").alias("n_y")))
+    least = total.select("by", F.greatest(F.ceil(F.col("n_y") * round(min_support * MICRO) / F.lit(MICRO)), F.lit(1)).cast("long").alias("least"))
+    known = Items.of_some(own, "by", least)
+    rows = staged(itemize(own, known, extra=("by",)))
+    found = mine_units(rows.join(least, "by"), max_length, 2 * spark.sparkContext.defaultParallelism)
     if not within:
-        alone = cells.where(tag.isNull()).select("itemset", F.col("n_x").alias("whole"))
-        own = own.join(alone, "itemset").withColumn("n_x", F.col("whole")).drop("whole")
-        total = total.withColumn("n", F.sum("n").over(W.partitionBy(F.lit(1))))
-    found = own.join(F.broadcast(total), "tag").where((F.col("n_xy") > 0) & (F.col("n_xy") * MICRO >= F.col("n_y") * round(min_support * MICRO)))
-    return measured(found.select("label", "itemset", F.array_join("itemset", "|").alias("key"), F.size("itemset").alias("len"), "n", "n_y", "n_x", "n_xy"))
+        found = staged(found)
+        together = rows.groupBy("items").agg(F.sum("n_all").alias("n_all"), F.sum("n_pos").alias("n_pos"))
+        found = found.drop("n_x").join(count_sets(staged(together), found.select("items").distinct()).select("items", "n_x"), "items")
+        total = total.withColumn("n", F.lit(items_totals(compact)[0]).cast("long"))
+    sets = found.select("by", known.named(F.col("items")).alias("itemset"), "n_x", "n_xy").join(total, "by")
+    return measured(sets.select(F.col("by").alias("label"), "itemset", F.array_join("itemset", "|").alias("key"), F.size("itemset").alias("len"), "n", "n_y", "n_x", "n_xy"))
 
 
 def new_rules(before: DataFrame, now: DataFrame) -> DataFrame:
@@ -57,11 +63,25 @@ def changed_rules(before: DataFrame, now: DataFrame, factor: float = 1.5) -> Dat
 
 
 def rule_trend(df: DataFrame, dims: list[str], target: str, period: Column, min_support: float, max_length: int, season: int = 7) -> DataFrame:
-    """Each rule's lift in each period, its change from the period before, and from one season ago."""
-    compact = df.withColumn("period", period.cast("string")).groupBy(*dims, "period").agg(F.count("*").alias("n_all"), F.sum(F.col(target).cast("long")).alias("n_pos"))
-    found = mine_by_slice(compact, "period", min_support, max_length)
-    order = W.partitionBy("key").orderBy("label")
-    return found.select(F.col("label").alias("period"), "key", "n_xy", "supp", "lift", (F.col("lift") - F.lag("lift").over(order)).alias("change"), (F.col("lift") - F.lag("lift", season).over(order)).alias("season_change"))
+    """Each rule's lift in each period, its change from the period before, and from one season ago.
+
+    period: the number of a row's period (of days, months, ...). A change is null where the rule was
+    not found in the period that it is compared with, or that period has no rows.
+    """
+    compact = df.withColumn("period", period.cast("long")).groupBy(*dims, "period").agg(F.count("*").alias("n_all"), F.sum(F.col(target).cast("long")).alias("n_pos"))
+    found = staged(mine_by_slice(compact, "period", min_support, max_length).select(F.col("label").cast("long").alias("period"), "key", "n_xy", "supp", "lift"))
+    ago = lambda n, name: found.select((F.col("period") + n).alias("period"), "key", F.col("lift").alias(name))
+    both = found.join(ago(1, "before"), ["period", "key"], "left").join(ago(season, "season"), ["period", "key"], "left")
+    return both.select("period", "key", "n_xy", "supp", "lift", (F.col("lift") - F.col("before")).alias("change"), (F.col("lift") - F.col("season")).alias("season_change"))
+
+
+def alerts(before: DataFrame, now: DataFrame, min_lift: float, factor: float = 1.5) -> DataFrame:
+    """What a watcher is told after a run: rules at or above the lift that are new, and those whose
+    lift rose by the factor or more."""
+    old = before.select("label", "key", F.col("lift").alias("lift_before"))
+    both = now.where(F.col("lift") >= min_lift).select("label", "key", "n_xy", "lift").join(old, ["label", "key"], "left")
+    kind = F.when(F.col("lift_before").isNull(), "new").when(F.col("lift") >= factor * F.col("lift_before"), "stronger")
+    return both.withColumn("alert", kind).where("alert is not null")
 
 
 def apply_feedback(rules: DataFrame, feedback: DataFrame) -> DataFrame:

@@ -1,15 +1,18 @@
-"""Pattern-tree mining without candidates, over weighted rows, sharded by item.
+"""Pattern-tree mining without candidates, over weighted rows.
 
-A shard owns a group of items and gets, of each row, the prefix (in rank order) up to its last item
-in the row. It grows a tree of these prefixes and reports the sets whose last-ranked item it owns,
-so every set comes from one shard alone and nothing is counted twice.
+The rank order of items splits the search: every set belongs to its last-ranked item, whose base is
+the prefixes of the rows up to it. Spark makes the bases, one unit of work for each item, and sums
+equal prefixes. A unit that is too costly is split by the next item before it, and again, until it
+fits or its suffix is as long as a set may be. Units are dealt to tasks; a task grows the tree of
+one unit at a time from sorted prefixes.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from itertools import combinations
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -17,6 +20,9 @@ from ..plans.staging import staged
 from .items import Items, itemize
 from .levelwise import count_reference, named
 
+#: Items of distinct prefixes that one unit may have, which bounds the tree that a task holds.
+UNIT_MOST = 500_000
+
 
 class PatternTree:
     """Prefixes of rank-sorted rows with two weights: of the target's rows, and of all rows."""
@@ -65,12 +71,11 @@ class PatternTree:
             tree.add([x for x in row if total[x] >= least], pos, whole)
         return tree
 
-    def mine(self, least: int, longest: int, wanted=None, suffix: tuple[int, ...] = ()):
-        """(items, weight in the target, weight) of each frequent set. wanted: the items allowed as
-        the last-ranked one."""
+    def mine(self, least: int, longest: int, suffix: tuple[int, ...] = ()):
+        """(items, weight in the target, weight) of each frequent set that ends in suffix."""
         if longest <= len(suffix):
             return
-        line = self.path() if wanted is None else None
+        line = self.path()
         if line is not None:  # every combination, as heavy as its deepest node
             for k in range(1, longest - len(suffix) + 1):
                 for some in combinations(line, k):
@@ -78,40 +83,97 @@ class PatternTree:
                         yield (*[self.item[n] for n in some], *suffix), self.pos[some[-1]], self.whole[some[-1]]
             return
         for i in self.by_item:
-            if wanted is not None and i not in wanted:
-                continue
             pos = sum(self.pos[n] for n in self.by_item[i])
             if pos < least:
                 continue
             yield (i, *suffix), pos, sum(self.whole[n] for n in self.by_item[i])
             if longest > len(suffix) + 1:
-                yield from self.conditional(i, least).mine(least, longest, None, (i, *suffix))
-
-
-def assign_shards(rows: DataFrame, n_items: int, shards: int) -> list[int]:
-    """A shard for each item; costly items first, each to the lightest shard. An item costs the
-    length of the prefixes it brings."""
-    cost = [0] * n_items
-    for r in rows.select(F.posexplode("items").alias("at", "i")).groupBy("i").agg(F.sum(F.col("at") + 1).alias("c")).collect():
-        cost[r["i"]] = r["c"]
-    load, of = [0] * shards, [0] * n_items
-    for i in sorted(range(n_items), key=lambda i: -cost[i]):
-        of[i] = min(range(shards), key=load.__getitem__)
-        load[of[i]] += cost[i]
-    return of
-
-
-def emit_prefixes(rows: DataFrame, shard_of: list[int]) -> DataFrame:
-    """shard, prefix, n_pos, n_all: at most one prefix for each row and shard, equal ones summed."""
-    of = F.array(*[F.lit(s) for s in shard_of])
-    pairs = F.transform("items", lambda x, i: F.struct(F.element_at(of, x + 1).alias("s"), i.alias("i")))
-    last = F.filter("pairs", lambda p: ~F.exists("pairs", lambda q: (q["s"] == p["s"]) & (q["i"] > p["i"])))
-    each = rows.withColumn("pairs", pairs).select("items", "n_pos", "n_all", F.explode(last).alias("p"))
-    prefix = F.slice("items", 1, F.col("p.i") + 1)
-    return each.select(F.col("p.s").alias("shard"), prefix.alias("prefix"), "n_pos", "n_all").groupBy("shard", "prefix").agg(F.sum("n_pos").alias("n_pos"), F.sum("n_all").alias("n_all"))
-
-
-def mine_patterntree(compact: DataFrame, least: int, max_length: int, shards: int | None = None, items: Items | None = None, reference: str = "second_pass") -> DataFrame:
+                yield from self.conditional(i, least).mine(least, longest, (i, *suffix))
+
+
+def _summed(base: DataFrame) -> DataFrame:
+    keys = [c for c in base.columns if c not in ("n_pos", "n_all")]
+    return base.groupBy(*keys).agg(F.sum("n_pos").alias("n_pos"), F.sum("n_all").alias("n_all"))
+
+
+def emit_prefixes(rows: DataFrame) -> DataFrame:
+    """unit (a suffix of one item), prefix, n_pos, n_all and what else rows have: for each item of a
+    row what stands before it, equal ones summed."""
+    rest = [c for c in rows.columns if c not in ("items", "n_pos", "n_all")]
+    each = rows.select(*rest, "items", "n_pos", "n_all", F.posexplode("items").alias("at", "item"))
+    return _summed(each.select(*rest, F.array("item").alias("unit"), F.slice("items", 1, F.col("at")).alias("prefix"), "n_pos", "n_all"))
+
+
+def split_unit(base: DataFrame) -> DataFrame:
+    """The same for units with one item more in their suffix."""
+    rest = [c for c in base.columns if c not in ("unit", "prefix", "n_pos", "n_all")]
+    each = base.select(*rest, "unit", "prefix", "n_pos", "n_all", F.posexplode("prefix").alias("at", "item"))
+    return _summed(each.select(*rest, F.concat(F.array("item"), "unit").alias("unit"), F.slice("prefix", 1, F.col("at")).alias("prefix"), "n_pos", "n_all"))
+
+
+def _grown(key: tuple, rows: list, longest: int) -> Iterator[tuple]:
+    """The unit's own set and the sets found in the tree of its prefixes."""
+    by, unit, least = key
+    pos, whole = sum(r[1] for r in rows), sum(r[2] for r in rows)
+    if pos < least:
+        return
+    yield by, unit, whole, pos
+    total: dict[int, int] = {}
+    for prefix, n, _ in rows:
+        for i in prefix:
+            total[i] = total.get(i, 0) + n
+    tree = PatternTree()
+    for prefix, n, m in rows:
+        tree.add([i for i in prefix if total[i] >= least], n, m)
+    for items, n, m in tree.mine(least, longest, tuple(unit)):
+        yield by, sorted(items), m, n
+
+
+def mine_units(rows: DataFrame, max_length: int, shards: int, unit_most: int = UNIT_MOST) -> DataFrame:
+    """by, items, n_x, n_xy of the frequent sets of each group, for rows (by, least, items, n_pos,
+    n_all): groups have their own search, and each its least weight."""
+    small, heavy = [], staged(emit_prefixes(rows))
+    for depth in range(1, max_length):
+        size = heavy.groupBy("by", "unit").agg(F.sum(F.size("prefix")).alias("cost"), F.sum("n_pos").alias("pos"), F.first("least").alias("least"))
+        costly = staged(size.where((F.col("cost") > unit_most) & (F.col("pos") >= F.col("least"))).select("by", "unit"))
+        if costly.isEmpty():
+            break
+        # A unit that is split still has the set of its suffix alone.
+        alone = heavy.join(costly, ["by", "unit"], "left_semi").select("by", "least", "unit", F.array().cast("array<int>").alias("prefix"), "n_pos", "n_all")
+        small += [heavy.join(costly, ["by", "unit"], "left_anti"), _summed(alone)]
+        heavy = staged(split_unit(heavy.join(costly, ["by", "unit"], "left_semi")))
+    whole = heavy
+    for part in small:
+        whole = whole.unionByName(part)
+
+    def grow(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, held, out = None, [], []
+
+        def batch() -> pa.RecordBatch:
+            by, items, n_x, n_xy = zip(*out, strict=True)
+            return pa.RecordBatch.from_arrays([pa.array(by, pa.string()), pa.array(items, pa.list_(pa.int32())), pa.array(n_x, pa.int64()), pa.array(n_xy, pa.int64())], ["by", "items", "n_x", "n_xy"])
+
+        for part in batches:
+            columns = [part.column(c).to_pylist() for c in ("by", "unit", "least", "prefix", "n_pos", "n_all")]
+            for by, unit, least, prefix, n_pos, n_all in zip(*columns, strict=True):
+                if (by, unit, least) != key:
+                    if key:
+                        out.extend(_grown(key, held, max_length))
+                    key, held = (by, unit, least), []
+                    if len(out) >= 10_000:
+                        yield batch()
+                        out.clear()
+                held.append((prefix, n_pos, n_all))
+        if key:
+            out.extend(_grown(key, held, max_length))
+        if out:
+            yield batch()
+
+    dealt = whole.repartition(shards, "by", "unit").sortWithinPartitions("by", "unit")
+    return dealt.mapInArrow(grow, "by string, items array<int>, n_x bigint, n_xy bigint")
+
+
+def mine_patterntree(compact: DataFrame, least: int, max_length: int, shards: int | None = None, items: Items | None = None, reference: str = "second_pass", unit_most: int = UNIT_MOST) -> DataFrame:
     """itemset, len, n_x, n_xy of all sets with the least weight in the target.
 
     reference: second_pass grows trees from the target's rows and counts the found sets over all
@@ -125,16 +187,7 @@ def mine_patterntree(compact: DataFrame, least: int, max_length: int, shards: in
         return named(spark.createDataFrame([], "items array<int>, n_x bigint, n_xy bigint"), items)
     rows = staged(itemize(compact, items))
     inside = rows.where("n_pos > 0") if reference == "second_pass" else rows
-    shard_of = assign_shards(inside, len(items), max(1, min(len(items), shards or 2 * spark.sparkContext.defaultParallelism)))
-
-    def grow(group: pd.DataFrame) -> pd.DataFrame:
-        tree, own = PatternTree(), int(group["shard"].iloc[0])
-        for prefix, pos, whole in zip(group["prefix"], group["n_pos"].tolist(), group["n_all"].tolist(), strict=True):
-            tree.add(prefix.tolist(), pos, whole)
-        wanted = {i for i, s in enumerate(shard_of) if s == own}
-        return pd.DataFrame([(sorted(s), whole, pos) for s, pos, whole in tree.mine(least, max_length, wanted)], columns=["items", "n_x", "n_xy"])
-
-    found = emit_prefixes(inside, shard_of).groupBy("shard").applyInPandas(grow, "items array<int>, n_x bigint, n_xy bigint")
+    found = mine_units(inside.withColumn("by", F.lit("")).withColumn("least", F.lit(least).cast("long")), max_length, shards or 2 * spark.sparkContext.defaultParallelism, unit_most).drop("by")
     if reference == "second_pass":
-        found = count_reference(found.select("items"), rows, max_length)
+        found = count_reference(staged(found), rows, items)
     return named(found, items)

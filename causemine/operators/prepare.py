@@ -9,6 +9,10 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 
+#: Patterns of a vocabulary, each a condition of one projection.
+VOCABULARY_MOST = 500
+
+
 def parse_lines(lines: DataFrame, column: str = "value") -> DataFrame:
     """time and message of text lines that begin with a time; others are dropped."""
     time = F.regexp_extract(column, r"^\s*(\d+:\d\d)\s+", 1)
@@ -21,10 +25,17 @@ def structure_log(lines: DataFrame, vocabulary: DataFrame, kinds: list[str], lay
 
     vocabulary (pattern, kind, tool) maps messages, which may be worded in several ways, to
     canonical kinds; a message may match several kinds, and one that matches none is dropped. The
-    vocabulary is small and fixed by whoever designs the log's schema.
+    vocabulary is fixed by whoever designs the log's schema, and refused beyond VOCABULARY_MOST
+    patterns. Distinct messages are matched once, where the lines are.
     """
-    found = lines.join(F.broadcast(vocabulary), F.expr("message rlike pattern"))
-    per = found.groupBy("time", "kind").agg(F.count("*").alias("n"), F.max("tool").alias("tool"))
+    known = vocabulary.select("pattern", "kind", "tool").limit(VOCABULARY_MOST + 1).collect()
+    if len(known) > VOCABULARY_MOST:
+        raise ValueError(f"a vocabulary has at most {VOCABULARY_MOST} patterns")
+    hits = [F.when(F.col("message").rlike(r["pattern"]), F.struct(F.lit(r["kind"]).alias("kind"), F.lit(r["tool"]).cast("string").alias("tool"))) for r in known]
+    none = F.array().cast("array<struct<kind:string,tool:string>>")
+    summed = lines.groupBy("time", "message").agg(F.count("*").alias("n"))
+    found = summed.select("time", "n", F.explode(F.array_compact(F.array(*hits)) if hits else none).alias("hit")).select("time", "n", "hit.kind", "hit.tool")
+    per = found.groupBy("time", "kind").agg(F.sum("n").alias("n"), F.max("tool").alias("tool"))
     if layout == "narrow":
         return per.select("time", "kind", "n", "tool")
     wide = per.groupBy("time").pivot("kind", kinds).agg(F.sum("n"))
@@ -116,6 +127,14 @@ def auto_exclude(df: DataFrame, ratio: float = 0.02, columns: list[str] | None =
     return [c for c, r in found.items() if r["n_distinct"] <= ratio * r["n"]]
 
 
+def support_exclude(compact: DataFrame, least: int) -> list[str]:
+    """The columns to keep: those with some value of the least weight in the target. No rule can have
+    an item of another column."""
+    from .items import Items
+
+    return Items.of(compact, least).supported()
+
+
 def preaggregate(df: DataFrame, dims: list[str], target: str = "y", enabled: bool = True) -> DataFrame:
     """dims, n_all and n_pos: equal rows become one with a weight. The only step that shuffles what
     comes from raw data, after each task has summed its own. enabled=False keeps every row."""

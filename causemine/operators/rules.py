@@ -80,7 +80,28 @@ def condense(rules: DataFrame, h_supp: float = 1.05, h_lift_long: float = 1.0, h
 
 def evidence_groups(rules: DataFrame) -> DataFrame:
     """Rules with the same counts, which rest on the same evidence as far as counts tell, as one."""
-    return rules.groupBy("label", "n_x", "n_xy").agg(F.count("*").alias("n_rules"), F.array_join(F.array_sort(F.collect_list("key")), " ; ").alias("keys"), F.max("lift").alias("lift"))
+    keys = F.array_join(F.array_sort(F.collect_list("key")), " ; ")
+    return rules.groupBy("label", "n_x", "n_xy").agg(F.count("*").alias("n_rules"), keys.alias("keys"), F.max("lift").alias("lift"))
+
+
+def coverage(compact: DataFrame, rules: DataFrame) -> DataFrame:
+    """rules with a signature of the compact rows that each covers: rules with the same signature
+    rest on the very same rows. A row enters by two hashes of its values."""
+    dims = [c for c in compact.columns if c not in ("n_all", "n_pos")]
+    part = lambda c: F.concat(F.lit(f"{c}="), F.regexp_replace(F.col(c).cast("string"), r"([\\=|])", r"\\$1"))
+    held = F.array_compact(F.array(*[F.when(F.col(c).isNotNull(), part(c)) for c in dims]))
+    row = compact.select(held.alias("held"), F.xxhash64(*dims).alias("a"), F.xxhash64(F.lit(1), *dims).alias("b"))
+    # Rows meet the rules of one of their items; a rule waits at its first.
+    at = rules.select("label", "key", "itemset", F.element_at("itemset", 1).alias("item"))
+    met = row.withColumn("item", F.explode("held")).join(at, "item").where(F.size(F.array_except("itemset", "held")) == 0)
+    signed = met.groupBy("label", "key").agg(F.hex(F.bit_xor("a")).alias("xa"), F.hex(F.bit_xor("b")).alias("xb"), F.count("*").alias("n_rows"))
+    return rules.join(signed.select("label", "key", F.concat_ws(":", "xa", "xb", F.col("n_rows").cast("string")).alias("signature")), ["label", "key"])
+
+
+def same_evidence(compact: DataFrame, rules: DataFrame) -> DataFrame:
+    """Groups of rules that are proven to rest on the same rows."""
+    keys = F.array_join(F.array_sort(F.collect_list("key")), " ; ")
+    return coverage(compact, rules).groupBy("label", "n_x", "n_xy", "signature").agg(F.count("*").alias("n_rules"), keys.alias("keys"), F.max("lift").alias("lift"))
 
 
 def exclusive_rules(rules: DataFrame) -> DataFrame:

@@ -5,12 +5,13 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 from itertools import combinations
-from math import comb, prod
+from math import comb
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..config import Config, least_count
+from .staging import staged
 from ..operators import cuboids, items, levelwise, patterntree, prepare, rules
 
 
@@ -28,6 +29,10 @@ def exclusive_bound(cardinalities: list[int], max_length: int) -> int:
     return sum(sums[1:])
 
 
+#: Below so many possible sets the level-wise search is taken (the published crossover).
+LEVELWISE_MOST = 2_000
+
+
 def choose_miner(known: items.Items, n_rows: int, max_length: int) -> str:
     """By what each would touch: cuboids read every row once for each combination of columns;
     level-wise suits few sets; the tree suits many."""
@@ -36,7 +41,7 @@ def choose_miner(known: items.Items, n_rows: int, max_length: int) -> str:
     groupings = sum(1 for k in range(1, min(max_length, len(known.dims)) + 1) for _ in combinations(known.dims, k))
     if groupings * n_rows <= 200_000:
         return "cuboids"
-    return "levelwise" if exclusive_bound(per, max_length) <= 2_000 else "patterntree"
+    return "levelwise" if exclusive_bound(per, max_length) <= LEVELWISE_MOST else "patterntree"
 
 
 def mine(compact: DataFrame, config: Config, least: int, known: items.Items | None = None) -> DataFrame:
@@ -61,7 +66,7 @@ def explain_failures(df: DataFrame, target: str, config: Config = Config(), colu
     """From labelled rows to the condensed rules: prune columns, group, mine, score, filter."""
     kept = [c for c in columns or df.columns if c != target and c not in config.exclude]
     kept = prepare.auto_exclude(df, config.distinct_ratio, kept)
-    compact = prepare.preaggregate(df, kept, target).persist()
+    compact = staged(prepare.preaggregate(df, kept, target))
     found = rules.filter_lift(mined_rules(compact, config), config.min_lift)
     return rules.condense(found, config.h_supp, config.h_lift_long, config.h_lift_short, config.mode)
 
@@ -72,7 +77,7 @@ def measure(name: str, action: Callable[[], int]) -> tuple[str, float, int]:
     return name, time.perf_counter() - began, n
 
 
-def advise(compact: DataFrame, supports: list[float], lengths: list[int], algorithms: tuple[str, ...] = ("levelwise", "patterntree")) -> DataFrame:
+def advise(compact: DataFrame, supports: list[float], lengths: list[int], algorithms: tuple[str, ...] = ("levelwise", "patterntree", "cuboids")) -> DataFrame:
     """Times of the algorithms over a small grid; the fastest of each point is marked."""
     found = []
     _, n_y = items.totals(compact)
@@ -91,15 +96,46 @@ def thread_sweep(compact: DataFrame, config: Config, degrees: list[int]) -> Data
     return compact.sparkSession.createDataFrame(found, "parallelism int, seconds double, n_itemsets bigint")
 
 
+def plan_metrics(df: DataFrame) -> dict[str, int]:
+    """Run df and read what its final plan counted: rows and bytes that scans gave, bytes shuffled and spilled."""
+    plan = df._jdf.queryExecution().executedPlan()
+    df._jdf.queryExecution().toRdd().count()  # the very plan whose counters are read
+    wanted = {"numOutputRows": "rows_scanned", "filesSize": "bytes_scanned", "shuffleBytesWritten": "bytes_shuffled", "spillSize": "bytes_spilled"}
+    total = dict.fromkeys(wanted.values(), 0)
+    stack = [plan]
+    while stack:
+        node = stack.pop()
+        name = node.nodeName()
+        if name == "AdaptiveSparkPlan":
+            stack.append(node.executedPlan())
+            continue
+        if "QueryStage" in name:
+            stack.append(node.plan())
+            continue
+        metrics = node.metrics()
+        for key, out in wanted.items():
+            if metrics.contains(key) and (key not in ("numOutputRows", "filesSize") or name.startswith("Scan")):
+                total[out] += metrics.apply(key).value()
+        children = node.children()
+        stack += [children.apply(i) for i in range(children.size())]
+    return total
+
+
+def time_to_cause(df: DataFrame, target: str, known: str, config: Config = Config(), columns: list[str] | None = None) -> DataFrame:  # noqa: B008
+    """From labelled rows to the known rule: seconds, its place by lift among the condensed rules, how many there are."""
+    began = time.perf_counter()
+    found = [(r["key"], r["lift"]) for r in explain_failures(df, target, config, columns).select("key", "lift").collect()]  # condensed rules are few
+    seconds = time.perf_counter() - began
+    lift = dict(found).get(known)
+    place = None if lift is None else 1 + sum(x > lift for _, x in found)
+    return df.sparkSession.createDataFrame([(known, seconds, place, len(found))], "key string, seconds double, place int, n_rules int")
+
+
 def plan_text(df: DataFrame) -> str:
     """The formatted physical plan, for checks of pushed filters, pruned columns and joins."""
     return df._sc._jvm.PythonSQLUtils.explainString(df._jdf.queryExecution(), "formatted")
 
 
-def cells(cardinalities: list[int]) -> int:
-    return prod(cardinalities)
-
-
 def itemset_curve(sets: DataFrame, n_y: int, supports: list[float], lengths: list[int]) -> DataFrame:
     """How many sets each support and length gives, from one mining run at the least support and
     the greatest length. The grid is small and known."""

@@ -6,7 +6,6 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from .tables import load
 
@@ -60,6 +59,15 @@ _EVENT = (("event_type", "e.event_type"), ("segment", "c.c_mktsegment"), ("regio
 _FIVE = "l.l_returnflag = 'R' and l.l_linestatus = 'F' and o.o_orderstatus = 'P' and o.o_orderpriority = '1-URGENT' and c.c_mktsegment = 'BUILDING'"
 _W1 = f"(l.l_returnflag = 'R' and l.l_linestatus = 'F' and o.o_orderstatus = 'P' and {_H} % 10 < 8) or {_G} % 17 = 0"
 
+
+
+def _attributes(count: int, configurations: int, least: int, values: int) -> tuple[tuple[str, str], ...]:
+    """Features of a fleet in which an entity has one of so many configurations: each has a common
+    value, which a share of the configurations has (from least / 97 on, in steps), and rarer ones."""
+    own = f"(l.l_partkey % {configurations})"
+    return tuple((f"a{k:02d}", f"case when ({own} * {31 + 2 * k}) % 97 < {least + (k * 7) % 30} then 'usual' else 'v' || cast(({own} * {k + 1}) % {values} as varchar) end") for k in range(count))
+
+
 WORKLOADS = {
     w.name: w
     for w in (
@@ -71,6 +79,11 @@ WORKLOADS = {
         Workload("session", _EVENTS, _EVENT, "(e.event_type = 'error' and c.c_mktsegment = 'BUILDING' and r.r_name = 'ASIA' and e.event_id % 10 < 8) or e.event_id % 23 = 0"),
         Workload("text", (("documents", "d", ""),), (("lang", "d.lang"), ("source", "d.source"), ("length_band", "case when d.n_chars < 500 then 'a' when d.n_chars < 2000 then 'b' when d.n_chars < 8000 then 'c' else 'd' end")), "(d.source = 'src3' and d.lang = 'en' and d.doc_id % 10 < 9) or d.doc_id % 37 = 0"),
         Workload("parity", _STAR, (_LINE[1], _LINE[2], _LINE[0], _LINE[4]), "(l.l_linestatus = 'F') <> (o.o_orderstatus = 'P')", "o.o_orderstatus in ('P', 'O')"),
+        # As wide as the published data: 20 features of some 1,500 values, and 50 features of some 500.
+        Workload("wide_20", _STAR[:2], (*_LINE[:3], *_attributes(17, 291, 48, 101)), _W1),
+        Workload("wide_50", _STAR[:5], (_LINE[0], _LINE[5], *_attributes(48, 291, 22, 10)), f"(l.l_returnflag = 'R' and r.r_name = 'ASIA' and {_H} % 20 < 1) or {_G} % 997 = 0"),
+        Workload("events_shape", _EVENTS[:1], (_EVENT[0], _EVENT[3], ("weekday", "isodow(e.ts)"), ("band", "case when e.value > 50 then 'high' else 'low' end")), "e.value > 150"),
+        Workload("wide_9", _STAR, (*_LINE, _TYPE, _BRAND, ("nation", "n.n_name"), ("discount", "cast(round(l.l_discount * 100) as integer)")), _W1),
         Workload("five_way", _STAR, _REQUEST, f"({_FIVE}) or {_G} % 100003 = 0"),
         Workload("five_way_noisy", _STAR, _REQUEST, f"({_FIVE}) or {_G} % 499 = 0"),
     )
@@ -86,7 +99,3 @@ END_STATES = Workload("end_states", _STAR, _REQUEST, "false")
 
 def end_state_rows(spark: SparkSession, folder: str) -> DataFrame:
     return END_STATES.rows(spark, folder, f", {END_STATE} as end_state").drop("y")
-
-
-def with_constant(df: DataFrame) -> DataFrame:
-    return df.withColumn("constant", F.lit("same"))

@@ -7,10 +7,10 @@ from pyspark.sql import functions as F
 
 from causemine.config import Config, least_count
 from causemine.functions import metrics
-from causemine.operators import baselines, cuboids, items, levelwise, monitor, patterntree, prepare, rules
+from causemine.operators import baselines, counting, cuboids, items, levelwise, monitor, patterntree, prepare, rules
 from causemine.plans import planner
 from causemine.queries import RAW, VOCABULARY, literal_rules
-from causemine.sources import log_lines
+from causemine.sources import log_lines, tables
 from causemine.streaming import flows
 
 ROWS = [(a, b, c, int(a == "x" and b == "p") if i % 5 else int(c == "u")) for i, (a, b, c) in enumerate((a, b, c) for a in "xyz" for b in "pq" for c in "uvw" for _ in range(4))]
@@ -44,6 +44,9 @@ def test_miners_equal_brute_force(compact, longest):
     assert got(levelwise.mine_levelwise(compact, 3, longest, parallelism=3)) == want
     assert got(patterntree.mine_patterntree(compact, 3, longest, 2)) == want
     assert got(patterntree.mine_patterntree(compact, 3, longest, 5, reference="joint")) == want
+    for most in (1, 20):
+        assert got(patterntree.mine_patterntree(compact, 3, longest, 5, unit_most=most)) == want
+    assert got(levelwise.mine_levelwise(compact, 3, longest, parallelism=1)) == want
     assert got(cuboids.mine_cuboids(compact, 3, longest)) == want
 
 
@@ -157,3 +160,98 @@ def test_slices_with_escaped_or_long_values(spark):
     assert found == {(v, "x=p"): (20, 10, 10, 9) for v in values}
     raw = spark.createDataFrame([(v, "p") for v in values], "service string, x string")
     assert {r["label"] for r in monitor.mine_each_label(raw, ["x"], "service", 0.5, 1).collect()} == set(values)
+
+
+def test_sets_are_counted_in_several_passes(spark, compact):
+    known = items.Items.of(compact, 3)
+    rows = items.itemize(compact, known)
+    sets = levelwise.next_candidates(levelwise.first_level(known, spark), known.columns)
+    want = sorted(map(tuple, ((tuple(r["items"]), r["n_x"], r["n_xy"]) for r in counting.count_sets(rows, sets).collect())))
+    for options in ({"most": 3}, {"parallelism": 4}, {"parallelism": 1, "most": 5}):
+        assert want == sorted((tuple(r["items"]), r["n_x"], r["n_xy"]) for r in counting.count_sets(rows, sets, **options).collect())
+
+
+def test_the_degree_of_parallelism_is_that_of_the_tasks(spark, compact):
+    known = items.Items.of(compact, 3)
+    rows = items.itemize(compact, known)
+    sets = [[i] for i in range(len(known))]
+    for n in (1, 2, 5):
+        assert counting._pass(rows, sets, n).rdd.getNumPartitions() == n
+
+
+def test_fifty_columns(spark):
+    """As many columns as grouping sets could not take: C(50, 5) of them are two million."""
+    names = [f"c{i:02d}" for i in range(50)]
+    rows = [(*[f"v{(k * (i + 3) + i) % 9}" if (k * (2 * i + 1)) % 11 else "usual" for i in range(50)], "ab"[k % 2], k % 5) for k in range(600)]
+    df = spark.createDataFrame([(*r[:-1], int(r[-1] == 0)) for r in rows], ", ".join(f"{n} string" for n in [*names, "service"]) + ", y int")
+    compact = prepare.preaggregate(df, [*names, "service"])
+    found = monitor.mine_by_slice(compact, "service", 0.2, 3).collect()
+    assert len(found) > 500 and {r["label"] for r in found} == {"a", "b"}
+    for r in found[::97]:
+        own = [x for x in rows if x[50] == r["label"] and all(x[names.index(i.split("=")[0])] == i.split("=")[1] for i in r["itemset"])]
+        assert (r["n_x"], r["n_xy"]) == (len(own), sum(x[-1] == 0 for x in own))
+
+
+def test_contrast_sets_by_brute_force(compact):
+    n, p = items.totals(compact)
+    cells = {r["itemset"] if isinstance(r["itemset"], tuple) else tuple(r["itemset"]): (r["n_x"], r["n_xy"]) for r in cuboids.cuboids(compact, 2).where("n_xy > 0").collect()}
+
+    def stays(nx, nxy, share):
+        a, b, c = nxy, nx - nxy, p - nxy
+        d = n - a - b - c
+        chi = n * (a * d - b * c) ** 2 / max(1, (a + b) * (c + d) * (a + c) * (b + d))
+        return chi > baselines.chi2_critical(share) and abs(a / p - b / (n - p)) > 0.01
+
+    ones = {s for s in cells if len(s) == 1}
+    first = 0.05 / 2 / len(ones)
+    good = {s for s in ones if stays(*cells[s], first)}
+    pairs = {(*a, *b) for a in good for b in good if a < b and a[0][0] != b[0][0]}
+    share = min(first, 0.05 / 4 / max(1, len(pairs)))
+    want = good | {s for s in pairs if s in cells and stays(*cells[s], share)}
+    assert want and {tuple(r["itemset"]) for r in baselines.contrast_sets(compact, 0.05, 0.01, 2).collect()} == want
+
+
+def test_trend_compares_neighbouring_periods_alone(spark):
+    rows = [(day, "x", int(i < n)) for day, n in ((1, 4), (2, 2), (4, 1), (9, 3)) for i in range(5)] + [(day, "z", 0) for day in (1, 2, 4, 9) for _ in range(5)]
+    found = {r["period"]: (r["change"], r["season_change"]) for r in monitor.rule_trend(spark.createDataFrame(rows, "day int, a string, y int"), ["a"], "y", F.col("day"), 0.5, 1, season=7).collect()}
+    assert found == {1: (None, None), 2: (0.0, None), 4: (None, None), 9: (None, 0.0)}
+
+
+def test_tree_paths_read_as_rules():
+    text = "Model\n  If (feature 0 <= 0.5)\n   Predict: 0.0\n  Else (feature 0 > 0.5)\n   If (feature 1 <= 0.5)\n    Predict: 0.0\n   Else (feature 1 > 0.5)\n    Predict: 1.0\n"
+    assert baselines.tree_paths(text, ["a=x", "b=y"]) == [("not a=x", 0.0), ("a=x and not b=y", 0.0), ("a=x and b=y", 1.0)]
+
+
+def test_log_files_in_parts(spark, tmp_path):
+    lines = [f"{i % 24}:{i % 60:02d} message {i}" for i in range(500)]
+    (tmp_path / "a.log").write_text("\n".join(lines[:300]) + "\n")
+    (tmp_path / "b.log").write_text("\n".join(lines[300:]))
+    log_lines.register(spark)
+    for size in (7, 100, 10**6):
+        found = spark.read.format("log_lines").option("bytesPerPartition", size).load(str(tmp_path))
+        assert sorted(r["message"] for r in found.collect()) == sorted(x.split(" ", 1)[1] for x in lines)
+
+
+def test_names_with_signs(spark):
+    df = spark.createDataFrame([("x", 1), ("y", 0)], "`it's a=b` string, y int")
+    c = prepare.preaggregate(df, ["it's a=b"])
+    want = {("it's a\\=b=x",): (1, 1)}
+    assert got(cuboids.mine_cuboids(c, 1, 1)) == got(levelwise.mine_levelwise(c, 1, 1)) == got(patterntree.mine_patterntree(c, 1, 1)) == want
+
+
+def test_presets_and_whole_analysis(spark):
+    df = spark.createDataFrame(ROWS, "a string, b string, c string, y int")
+    for preset in (Config.urgent(), Config.thorough(), Config.monitor(), Config(min_support=0.4, algorithm="cuboids")):
+        found = planner.explain_failures(df, "y", preset.with_(distinct_ratio=1.0)).collect()
+        assert all(r["lift"] >= preset.min_lift and r["supp"] >= preset.min_support and r["len"] <= preset.max_length for r in found)
+    assert planner.explain_failures(df, "y", Config(min_support=0.4, distinct_ratio=1.0, exclude=("a",))).where("key like '%a=%'").count() == 0
+
+
+def test_routing_reads_only_the_wanted_days(spark, tmp_path):
+    hot, archive = f"{tmp_path}/hot", f"{tmp_path}/archive"
+    for day, n in (("2024-01-01", 1), ("2024-01-02", 2), ("2024-01-03", 4)):
+        tables.put_day(spark.createDataFrame([("x", n, 0)], "a string, n_all long, n_pos long"), hot, day)
+    tables.archive_days(spark, hot, archive, "2024-01-03")
+    total = lambda a, b: tables.compact_days(spark, hot, archive, a, b, "2024-01-03").first()["n_all"]
+    assert (total("2024-01-01", "2024-01-03"), total("2024-01-02", "2024-01-02"), total("2024-01-03", "2024-01-09")) == (7, 2, 4)
+    assert "PartitionFilters: [isnotnull(day" in tables.compact_days(spark, hot, archive, "2024-01-02", "2024-01-02", "2024-01-03")._jdf.queryExecution().toString()
