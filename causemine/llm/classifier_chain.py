@@ -42,8 +42,8 @@ def _marks(own: set[bytes]) -> set[bytes]:
 def _telling(texts: list[str | None], y: np.ndarray, most: int, least_chi: float) -> list[list[bytes]]:
     """For each category the features that tell it best by chi-square; each occurs in several texts
     and in a hundredth of the category's own at least."""
-    seen: dict[bytes, int] = {}  # how many texts have it, and from bit 20 * (c + 1) on how many of category c
-    step = [1 + sum(int(v) << (20 * (c + 1)) for c, v in enumerate(row)) for row in y]
+    seen: dict[bytes, int] = {}  # how many texts have it, and from bit 40 * (c + 1) on how many of category c
+    step = [1 + sum(int(v) << (40 * (c + 1)) for c, v in enumerate(row)) for row in y]
     for text, k in zip(texts, step, strict=True):
         for mark in _marks(set(words(text))):
             seen[mark] = seen.get(mark, 0) + k
@@ -51,7 +51,7 @@ def _telling(texts: list[str | None], y: np.ndarray, most: int, least_chi: float
     for c in range(y.shape[1]):
         pos, best = int(y[:, c].sum()), []
         for mark, k in seen.items():
-            a, b = k & 0xFFFFF, (k >> (20 * (c + 1))) & 0xFFFFF
+            a, b = k & 0xFFFFFFFFFF, (k >> (40 * (c + 1))) & 0xFFFFFFFFFF
             if a >= 4 and b * 100 >= pos and 0 < pos < n and a < n:
                 chi = n * (b * (n - a - pos + b) - (a - b) * (pos - b)) ** 2 / (a * (n - a) * pos * (n - pos))
                 if chi >= least_chi and b * n > a * pos:

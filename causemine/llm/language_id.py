@@ -1,8 +1,10 @@
 """Operator 5: language identification.
 
-The model is fitted on the driver over a bounded sample of labelled texts (`per_label` for each
-language in expectation, chosen by a hash of the id) and broadcast: its size is that of the hashed
-table. Every whole text is then predicted where it is read.
+The model is fitted on the driver over a bounded sample of labelled texts (`per_label` for each of
+the `languages` most frequent languages in expectation, chosen by a hash of the id, of at most
+`longest` characters each; of these a bounded number of runs of words, spread over the text) and
+broadcast: its size is that of the hashed table. Every whole text is then predicted where it is read,
+however long it is.
 
 Defined cases: a null text, or one without a letter, is `und` with score 0; without any labelled
 text everything is `und`; repeated rows get the same result; an empty table gives an empty result;
@@ -21,7 +23,7 @@ from .language_model import LanguageModel, train
 from .shared import table
 from .tokens import by_bytes
 
-PER_LABEL = 500
+PER_LABEL, LANGUAGES, LONGEST = 500, 1000, 50_000
 
 
 def held_out(doc_id: Column) -> Column:
@@ -29,17 +31,14 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string")) % 3 == 1, F.lit(False))
 
 
-def fit(docs: DataFrame, per_label: int = PER_LABEL) -> LanguageModel:
+def fit(docs: DataFrame, per_label: int = PER_LABEL, languages: int = LANGUAGES, longest: int = LONGEST) -> LanguageModel:
     """Learn from text and lang of docs (doc_id, text, lang)."""
-    usable = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull()).select(F.col("doc_id").cast("long"), F.col("lang").cast("string"), F.col("text").cast("string"))
-    counts = {r["lang"]: r["n"] for r in usable.groupBy("lang").agg(F.count("*").alias("n")).collect()}
-    if not counts:
-        return train([], [])
+    usable = docs.where(F.col("lang").isNotNull() & (F.length("text") <= longest)).select(F.col("doc_id").cast("long"), F.col("lang").cast("string"), F.col("text").cast("string"))
+    counts = usable.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(languages)
     draw = F.pmod(F.xxhash64(F.lit("sample"), "doc_id"), F.lit(1 << 30))
-    chosen = F.lit(False)
-    for lang, n in counts.items():
-        chosen = chosen | ((F.col("lang") == lang) & (draw <= int((1 << 30) * min(1.0, per_label / n))))
-    sample = usable.where(chosen).toPandas().sort_values(["doc_id", "text"])
+    # As many rows as languages, which have a bound.
+    chosen = usable.join(F.broadcast(counts), "lang").where(draw <= (1 << 30) * F.least(F.lit(1.0), per_label / F.col("n")))
+    sample = chosen.toPandas().sort_values(["doc_id", "text", "lang"])
     return train(sample["text"].tolist(), sample["lang"].tolist())
 
 

@@ -8,12 +8,14 @@ get a second star, and what is then left is compared in blocks of bounded size,
 links between components alone. No link between sets that share a bucket is lost; two sets at the
 least similarity miss every bucket with a chance of about 5e-8.
 
-The driver sees counts and a Bloom filter of fixed size. Components are found by repeated joins.
+The driver sees counts, a Bloom filter of fixed size and hot keys, of which there is a bounded number.
+Components are found by repeated joins.
 
 Defined cases: a text without words has an empty set and links with nothing; a text with fewer
-words than a shingle has its whole sequence as one; rows that repeat a doc_id count as one document
-for its links; a null doc_id is linked with nothing; an empty table gives an empty result; other
-columns are left out, or pass through `deduplicated` unchanged.
+words than a shingle has its whole sequence as one; rows that repeat a doc_id are one document, which
+has the links of all its texts (n_shingles is each row's own); a null doc_id is linked with nothing;
+an empty table gives an empty result; other columns are left out, or pass through `deduplicated`
+unchanged, which leaves one row of each document that stays, the one with the least text.
 """
 
 from __future__ import annotations
@@ -29,7 +31,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .minhash import Signer, shingle_sets
-from .shared import staged, table
+from .shared import hot_join, staged, table
 from .tokens import by_bytes
 
 #: Members of a block in the last comparison, and bits of the Bloom filter.
@@ -59,10 +61,10 @@ def signatures(docs: DataFrame, shingle: int) -> DataFrame:
         for batch in by_bytes(batches, most=2_000_000):
             n, h1, h2, bands = [], [], [], []
             for own in shingle_sets(batch.column("text").to_pylist(), shingle):
-                digest = np.frombuffer(xxhash.xxh3_128_digest(own.tobytes()), ">i8")
+                digest = _digest(own)
                 n.append(len(own))
-                h1.append(int(digest[0]))
-                h2.append(int(digest[1]))
+                h1.append(digest[0])
+                h2.append(digest[1])
                 bands.append(signer.band_keys(own).astype(np.int64) if len(own) else None)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(h1, pa.int64()), pa.array(h2, pa.int64()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "n", "h1", "h2", "bands"])
 
@@ -70,11 +72,17 @@ def signatures(docs: DataFrame, shingle: int) -> DataFrame:
     return text.mapInArrow(sign, "doc_id bigint, n bigint, h1 bigint, h2 bigint, bands array<bigint>")
 
 
+def _digest(own: np.ndarray) -> tuple[int, int]:
+    h1, h2 = np.frombuffer(xxhash.xxh3_128_digest(own.tobytes()), ">i8")
+    return int(h1), int(h2)
+
+
 def _sets_of(docs: DataFrame, wanted: DataFrame, shingle: int) -> DataFrame:
-    """rep, hashes for the documents in wanted (rep). A Bloom filter of fixed size spares most other
-    texts the shuffle; those it lets through go at the join."""
-    place = F.pmod(F.xxhash64("rep"), F.lit(BLOOM_BITS))
-    words = wanted.select(F.shiftright(place, 6).cast("int").alias("word"), F.expr("shiftleft(1L, cast(pmod(xxhash64(rep), 64) as int))").alias("bit"))
+    """rep, hashes for the sets in wanted (rep, doc_id, h1, h2), made again from the documents that
+    have them. A Bloom filter of fixed size spares most other texts the shuffle; those it lets
+    through go at the join."""
+    place = F.pmod(F.xxhash64("doc_id"), F.lit(BLOOM_BITS))
+    words = wanted.select(F.shiftright(place, 6).cast("int").alias("word"), F.expr("shiftleft(1L, cast(pmod(xxhash64(doc_id), 64) as int))").alias("bit"))
     bits = np.zeros(BLOOM_BITS // 64, np.uint64)
     found = words.groupBy("word").agg(F.bit_or("bit").alias("bits")).toPandas()  # BLOOM_BITS / 64 rows at most
     bits[found["word"].to_numpy(np.int64)] = found["bits"].to_numpy(np.int64).astype(np.uint64)
@@ -86,13 +94,15 @@ def _sets_of(docs: DataFrame, wanted: DataFrame, shingle: int) -> DataFrame:
             place = batch.column("place").to_numpy().astype(np.int64)
             maybe = (held[place >> 6] >> (place & 63).astype(np.uint64)) & np.uint64(1) == 1
             for part in by_bytes(iter([batch.filter(pa.array(maybe))]), most=2_000_000):
-                own = [h.view(np.int64) for h in shingle_sets(part.column("text").to_pylist(), shingle)]
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(own, pa.list_(pa.int64()))], ["rep", "hashes"])
+                own = list(shingle_sets(part.column("text").to_pylist(), shingle))
+                both = np.array([_digest(h) for h in own], np.int64).reshape(len(own), 2)
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(both[:, 0]), pa.array(both[:, 1]), pa.array([h.view(np.int64) for h in own], pa.list_(pa.int64()))], ["doc_id", "h1", "h2", "hashes"])
 
-    rep = F.col("doc_id").cast("long")
-    text = docs.where("doc_id is not null").select(rep.alias("doc_id"), F.pmod(F.xxhash64(rep), F.lit(BLOOM_BITS)).alias("place"), F.col("text").cast("string").alias("text"))
-    found = text.mapInArrow(sets, "rep bigint, hashes array<bigint>")
-    return found.join(wanted, "rep", "left_semi").dropDuplicates(["rep"])
+    doc = F.col("doc_id").cast("long")
+    text = docs.where("doc_id is not null").select(doc.alias("doc_id"), F.pmod(F.xxhash64(doc), F.lit(BLOOM_BITS)).alias("place"), F.col("text").cast("string").alias("text"))
+    found = text.mapInArrow(sets, "doc_id bigint, h1 bigint, h2 bigint, hashes array<bigint>")
+    # Rows that repeat a document and its text have the same set.
+    return found.join(wanted, ["doc_id", "h1", "h2"]).select("rep", "hashes").dropDuplicates(["rep"])
 
 
 def _confirmed(edges: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -112,10 +122,10 @@ def components(edges: DataFrame) -> DataFrame:
     both = staged(edges.select("a", "b").union(edges.select("b", "a")).distinct())
     labels = staged(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("node")).alias("label")))
     while True:
-        near = both.join(labels.withColumnRenamed("node", "a"), "a").groupBy(F.col("b").alias("node")).agg(F.min("label").alias("near"))
+        near = hot_join(both, labels.withColumnRenamed("node", "a"), ["a"]).groupBy(F.col("b").alias("node")).agg(F.min("label").alias("near"))
         step = staged(labels.join(near, "node").select("node", F.col("label").alias("old"), F.least("label", "near").alias("label")))
         jump = step.select(F.col("node").alias("label"), F.col("label").alias("next"))
-        new = staged(step.join(jump, "label").select("node", "old", F.least("label", "next").alias("label")))
+        new = staged(hot_join(step, jump, ["label"]).select("node", "old", F.least("label", "next").alias("label")))
         if new.where("label < old").isEmpty():
             return new.select("node", "label")
         labels = new.select("node", "label")
@@ -139,7 +149,7 @@ def _star(members: DataFrame, centre: Column, percent: int) -> tuple[DataFrame,
     """The members but for each bucket's centre, which is then compared with all of them, and the
     edges to it from members of other components."""
     of = staged(members.groupBy("key").agg(centre.alias("centre")).select("key", "centre.*").withColumnsRenamed({"rep": "b", "n": "n_b", "comp": "comp_b"}))
-    joined = members.join(of, "key")
+    joined = hot_join(members, of, ["key"])
     fit = (F.col("rep") != F.col("b")) & (F.col("comp") != F.col("comp_b")) & _sizes_fit(F.col("n"), F.col("n_b"), percent)
     edges = joined.where(fit).select(F.col("rep").alias("a"), "b", "comp", "comp_b").distinct()
     return joined.where("rep <> b").select("key", "rep", "n", "comp"), edges
@@ -189,14 +199,16 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> Dat
     """doc_id, n_shingles, component_id, kept for docs (doc_id, text)."""
     signed = staged(signatures(docs, shingle))
     own = signed.where("n > 0 and doc_id is not null")
-    reps = staged(own.groupBy("h1", "h2").agg(F.min("doc_id").alias("rep"), F.min("n").alias("n"), F.count("*").alias("copies")))
     key = ["h1", "h2"]
-    first = own.select("doc_id", *key, "bands").join(reps.select(*key, F.col("rep").alias("doc_id"), "n"), [*key, "doc_id"])
-    rows = first.select(F.col("doc_id").alias("rep"), "n", F.explode("bands").alias("key")).dropDuplicates(["rep", "key"])
-    rows = staged(rows)
+    # Each distinct set gets a number of its own, rep, and the least document that has it.
+    reps = staged(own.groupBy(*key).agg(F.min("doc_id").alias("doc"), F.min("n").alias("n"), F.count("*").alias("copies")))
+    reps = staged(reps.withColumn("rep", F.monotonically_increasing_id()))
+    first = own.select(F.col("doc_id").alias("doc"), *key, "bands").join(reps.select(*key, "doc", "rep", "n"), [*key, "doc"])
+    rows = staged(first.select("rep", "n", F.explode("bands").alias("key")).dropDuplicates(["rep", "key"]))
     shared = staged(rows.groupBy("key").agg(F.count("*").alias("k")).where("k > 1").select("key"))
     members = staged(rows.join(shared, "key", "left_semi").withColumn("comp", F.col("rep")))
-    sets = staged(_sets_of(docs, staged(members.select("rep").distinct()), shingle))
+    wanted = reps.join(members.select("rep").distinct(), "rep", "left_semi").select("rep", F.col("doc").alias("doc_id"), *key)
+    sets = staged(_sets_of(docs, staged(wanted), shingle))
 
     low, high = F.min(F.struct("rep", "n", "comp")), F.max(F.struct(F.xxhash64("rep", "n"), "rep", "n", "comp"))
     comps = members.select("rep", "comp").distinct()
@@ -212,17 +224,39 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> Dat
     if not members.isEmpty():
         comps = _relabelled(comps, staged(_block_links(members, sets, percent)))
 
-    moved = reps.join(comps, "rep", "left").withColumn("component_id", F.coalesce("comp", "rep"))
-    moved = staged(moved.where("copies > 1 or component_id <> rep").select(*key, "component_id"))
-    placed = signed.select("doc_id", "n", *key).join(moved, key, "left")
+    placed = reps.join(comps, "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
+    placed = _relabelled(placed, staged(_same_document(own, placed)))
+    least = staged(placed.groupBy("comp").agg(F.min("doc").alias("component_id"), F.count("*").alias("sets")).where("sets > 1").select("comp", "component_id"))
+    moved = hot_join(placed, least, ["comp"], "left").withColumn("component_id", F.coalesce("component_id", "doc"))
+    moved = staged(moved.where("copies > 1 or component_id <> doc").select(*key, "component_id"))
+    placed = hot_join(signed.select("doc_id", "n", *key), moved, key, "left")
     component = F.when(F.col("n") > 0, F.coalesce("component_id", "doc_id")).otherwise(F.col("doc_id"))
-    return placed.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+    return placed.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), component).alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+
+
+def _same_document(own: DataFrame, placed: DataFrame) -> DataFrame:
+    """Links (a, b) between the components of a document's sets, where it has several."""
+    one = F.struct("h1", "h2")
+    several = staged(own.groupBy("doc_id").agg(F.min(one).alias("low"), F.max(one).alias("high")).where("low <> high").select("doc_id"))
+    if several.isEmpty():
+        return placed.select(F.col("comp").alias("a"), F.col("comp").alias("b")).limit(0)
+    each = own.select("doc_id", "h1", "h2").join(several, "doc_id", "left_semi").distinct().join(placed.select("h1", "h2", "comp"), ["h1", "h2"])
+    centre = each.groupBy("doc_id").agg(F.min("comp").alias("b"))
+    return each.join(centre, "doc_id").where("comp <> b").select(F.col("comp").alias("a"), "b").distinct()
 
 
 def deduplicated(docs: DataFrame, shingle: int = 5, percent: int = 80) -> DataFrame:
-    """The rows of docs without those whose component has a smaller doc_id, with all columns."""
-    gone = near_duplicates(docs, shingle, percent).where("not kept").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(staged(gone), docs["doc_id"].cast("long") == F.col("__gone"), "left_anti")
+    """One row of each document that its component keeps, with all columns, and the rows without a doc_id."""
+    found = staged(near_duplicates(docs, shingle, percent).where("doc_id is not null").select("doc_id", "kept"))
+    doc = docs["doc_id"].cast("long")
+    gone = staged(found.where("not kept").select(F.col("doc_id").alias("__id")).distinct())
+    again = staged(found.where("kept").groupBy(F.col("doc_id").alias("__id")).agg(F.count("*").alias("c")).where("c > 1").select("__id"))
+    rest = docs.join(gone, doc == F.col("__id"), "left_anti")
+    if again.isEmpty():
+        return rest
+    least = F.min_by(F.struct(*docs.columns), F.struct(F.col("text").cast("string")))
+    one = rest.join(again, doc == F.col("__id"), "left_semi").groupBy(doc).agg(least.alias("__row"))
+    return rest.join(again, doc == F.col("__id"), "left_anti").unionByName(one.select("__row.*"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

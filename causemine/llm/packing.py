@@ -21,7 +21,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .shared import table
-from .tokens import by_bytes, pre_tokenizer, vocabulary
+from .tokens import by_bytes, pre_tokenizer
 
 _PIECES = "doc_id bigint, start bigint, length bigint, ids binary, doc_tokens bigint, sequence_id bigint, offset bigint"
 
@@ -139,4 +139,4 @@ def digest(pieces: DataFrame) -> DataFrame:
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return digest(pack(table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"), end=2))
+    return digest(pack(table(spark, sf_dir, "documents"), "word_bpe_49k.json", end=2))

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .shared import staged, table
-from .tokens import by_bytes, pre_tokenizer, vocabulary
+from .tokens import by_bytes, pre_tokenizer
 
 _SEEN = "pre_token string, freq bigint"
 
@@ -96,5 +96,5 @@ def count_tokens(docs: DataFrame, path: str, head: int = 1_000_000) -> DataFrame
 
 
 def query(spark: SparkSession, sf_dir: str, limit: int = 512) -> DataFrame:
-    counted = count_tokens(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
+    counted = count_tokens(table(spark, sf_dir, "documents"), "byte_bpe_50k.json")
     return counted.select("doc_id", "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))

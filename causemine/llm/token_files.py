@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from . import rans
 from .shared import partitions, scratch, staged, table
-from .tokens import by_bytes, pre_tokenizer, vocabulary
+from .tokens import by_bytes, pre_tokenizer
 
 _IDS = "file int, block int, docs array<bigint>, sizes array<bigint>, n bigint, ids binary"
 _BLOCKS = "file int, block int, docs array<bigint>, sizes array<bigint>, payload binary"
@@ -144,5 +144,5 @@ def read(spark: SparkSession, folder: str) -> DataFrame:
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = scratch(spark)
-    write(table(spark, sf_dir, "documents"), folder, vocabulary("byte_bpe_50k.json"), end=2)
+    write(table(spark, sf_dir, "documents"), folder, "byte_bpe_50k.json", end=2)
     return read(spark, folder).select("doc_id", "start", "n_tokens", F.crc32("ids").cast("long").alias("ids_crc32"))

@@ -249,12 +249,13 @@ def by_bytes(batches: Iterator[pa.RecordBatch], column: str = "text", most: int
 
 @lru_cache(maxsize=2)
 def pre_tokenizer(path: str, most: int = 1_000_000) -> PreTokenizer:
-    """One for each worker and vocabulary; a worker keeps it from task to task."""
-    return PreTokenizer(path, most)
+    """One for each worker and vocabulary; a worker keeps it from task to task. A bare file name is a
+    public vocabulary, looked up on the machine of the worker."""
+    return PreTokenizer(path if "/" in path else vocabulary(path), most)
 
 
 def vocabulary(name: str) -> str:
-    """The path of a public vocabulary file."""
+    """The path of a public vocabulary file on this machine."""
     import public_tokenizers
 
     return public_tokenizers.path(name)

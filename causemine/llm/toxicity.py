@@ -2,12 +2,13 @@
 
 The categories are those that `labels` has: first low quality (quality = 0), then toxic; any list of
 0/1 label expressions can be given. The chain is fitted on the driver over a bounded sample of
-labelled documents (`sample` in expectation, chosen by a hash of the id) and broadcast; its size is
-that of its vocabulary. Every whole text is scored where it is read.
+labelled documents (`sample` in expectation, chosen by a hash of the id, of at most `longest`
+characters each) and broadcast; its size is that of its vocabulary. Every whole text is scored where
+it is read, however long it is.
 
 Defined cases: a null or wordless text gets the probabilities of a text without telling words; without any labelled
 document, or any toxic one, nothing is rejected; labels with nulls or without a document are not
-used; repeated rows get the same result; an empty table gives an empty result; other columns are
+used; of several labels of a document each category takes the greatest; repeated rows get the same result; an empty table gives an empty result; other columns are
 left out of `score`, and pass through `clean` unchanged.
 """
 
@@ -25,17 +26,17 @@ from .shared import table
 from .tokens import by_bytes
 
 CATEGORIES = {"low_quality": "1 - quality", "toxic": "toxic"}
-SAMPLE = 5000
+SAMPLE, LONGEST = 5000, 50_000
 
 
-def fit(docs: DataFrame, labels: DataFrame, categories: dict[str, str] = CATEGORIES, sample: int = SAMPLE) -> Chain:
+def fit(docs: DataFrame, labels: DataFrame, categories: dict[str, str] = CATEGORIES, sample: int = SAMPLE, longest: int = LONGEST) -> Chain:
     """Learn from docs (doc_id, text) and labels (doc_id and what the categories' expressions need)."""
     names = list(categories)
-    known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), *[F.expr(e).cast("int").alias(n) for n, e in categories.items()]).dropna().dropDuplicates(["doc_id"])
+    known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), *[F.expr(e).cast("int").alias(n) for n, e in categories.items()]).dropna().groupBy("doc_id").agg(*[F.max(n).alias(n) for n in names])
     n = known.count()
     draw = F.pmod(F.xxhash64(F.lit("sample"), "doc_id"), F.lit(1 << 30))
     chosen = known.where(draw <= int((1 << 30) * min(1.0, sample / max(1, n))))
-    text = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string"))
+    text = docs.where(F.col("doc_id").isNotNull() & (F.length("text") <= longest)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string"))
     # The sample has a bound, so its side of the join does.
     found = text.join(F.broadcast(chosen), "doc_id").toPandas().sort_values(["doc_id", "text"]).drop_duplicates("text")
     return train(found["text"].tolist(), found[names].to_numpy(np.int64).reshape(len(found), len(names)), names)
