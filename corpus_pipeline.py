@@ -10,7 +10,6 @@ from pyspark.sql import DataFrame, SparkSession
 
 from causemine.llm import decontamination, near_dedup, packing, quality_rules, toxicity
 from causemine.llm.shared import scratch, table
-from causemine.llm.tokens import vocabulary
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,7 +35,7 @@ def remove_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The pieces of the packed sequences."""
-    return packing.digest(packing.pack(docs, vocabulary("word_bpe_49k.json"), end=2))
+    return packing.digest(packing.pack(docs, "word_bpe_49k.json", end=2))
 
 
 STAGES = [
