@@ -120,12 +120,13 @@ def components(edges: DataFrame) -> DataFrame:
     the number of rounds grows with the logarithm of a component's width.
     """
     both = staged(edges.select("a", "b").union(edges.select("b", "a")).distinct())
+    n = both.count()
     labels = staged(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("node")).alias("label")))
     while True:
-        near = hot_join(both, labels.withColumnRenamed("node", "a"), ["a"]).groupBy(F.col("b").alias("node")).agg(F.min("label").alias("near"))
+        near = hot_join(both, labels.withColumnRenamed("node", "a"), ["a"], n=n).groupBy(F.col("b").alias("node")).agg(F.min("label").alias("near"))
         step = staged(labels.join(near, "node").select("node", F.col("label").alias("old"), F.least("label", "near").alias("label")))
         jump = step.select(F.col("node").alias("label"), F.col("label").alias("next"))
-        new = staged(hot_join(step, jump, ["label"]).select("node", "old", F.least("label", "next").alias("label")))
+        new = staged(hot_join(step, jump, ["label"], n=n).select("node", "old", F.least("label", "next").alias("label")))
         if new.where("label < old").isEmpty():
             return new.select("node", "label")
         labels = new.select("node", "label")
@@ -201,7 +202,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> Dat
     own = signed.where("n > 0 and doc_id is not null")
     key = ["h1", "h2"]
     # Each distinct set gets a number of its own, rep, and the least document that has it.
-    reps = staged(own.groupBy(*key).agg(F.min("doc_id").alias("doc"), F.min("n").alias("n"), F.count("*").alias("copies")))
+    reps = own.groupBy(*key).agg(F.min("doc_id").alias("doc"), F.min("n").alias("n"), F.count("*").alias("copies"))
     reps = staged(reps.withColumn("rep", F.monotonically_increasing_id()))
     first = own.select(F.col("doc_id").alias("doc"), *key, "bands").join(reps.select(*key, "doc", "rep", "n"), [*key, "doc"])
     rows = staged(first.select("rep", "n", F.explode("bands").alias("key")).dropDuplicates(["rep", "key"]))
@@ -249,8 +250,8 @@ def deduplicated(docs: DataFrame, shingle: int = 5, percent: int = 80) -> DataFr
     """One row of each document that its component keeps, with all columns, and the rows without a doc_id."""
     found = staged(near_duplicates(docs, shingle, percent).where("doc_id is not null").select("doc_id", "kept"))
     doc = docs["doc_id"].cast("long")
-    gone = staged(found.where("not kept").select(F.col("doc_id").alias("__id")).distinct())
-    again = staged(found.where("kept").groupBy(F.col("doc_id").alias("__id")).agg(F.count("*").alias("c")).where("c > 1").select("__id"))
+    gone = found.where("not kept").select(F.col("doc_id").alias("__id")).distinct()
+    again = found.where("kept").groupBy(F.col("doc_id").alias("__id")).agg(F.count("*").alias("c")).where("c > 1").select("__id")
     rest = docs.join(gone, doc == F.col("__id"), "left_anti")
     if again.isEmpty():
         return rest

@@ -80,7 +80,7 @@ def best_fit_decreasing(lengths: np.ndarray, window: int) -> tuple[np.ndarray, n
     return number, offset, used
 
 
-def pack(docs: DataFrame, path: str, end: int, window: int = 4096, block_ids: int = 1 << 21) -> DataFrame:
+def pack(docs: DataFrame, path: str, end: int, window: int = 4096, block_ids: int = 1 << 20) -> DataFrame:
     """Pieces of docs (doc_id, text): which ids (little-endian unsigned 32-bit) go to which place
     of which sequence.
 
@@ -107,7 +107,7 @@ def pack(docs: DataFrame, path: str, end: int, window: int = 4096, block_ids: in
             sequence += used
             return placed
 
-        for batch in by_bytes(batches):
+        for batch in by_bytes(batches, most=4_000_000):
             full: list[tuple] = []
             for doc, ids in zip(batch.column("doc_id").to_pylist(), tokenizer.ids_of(batch.column("text")), strict=True):
                 ids = np.concatenate((ids.astype("<u4"), stop))

@@ -21,7 +21,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .shared import staged, table, unsigned_crc32
+from .shared import hot_join, staged, table, unsigned_crc32
 
 OVERHEAD = 16
 #: Rows that a ranking window holds, and how many such windows there are at most.
@@ -35,10 +35,10 @@ def _bucket(salt: str, *of: str) -> Column:
 def _links(rows: DataFrame, limit: int) -> DataFrame:
     """Add link (null where no other document has the text)."""
     groups = rows.groupBy("__text").agg(F.count("*").alias("__n")).where("__n > 1")
-    groups = staged(groups.withColumn("__parts", F.ceil(F.col("__n") / limit)).withColumnRenamed("__text", "__of"))
-    joined = rows.join(groups, F.col("__text") == F.col("__of"), "left")
+    groups = staged(groups.withColumn("__parts", F.ceil(F.col("__n") / limit)))
+    joined = hot_join(rows, groups, ["__text"], "left")
     part = F.pmod(_bucket("part", "doc_id", "__salt"), F.col("__parts"))
-    return joined.withColumn("link", F.when(F.col("__n").isNotNull(), F.xxhash64("__text", part))).drop("__of", "__n", "__parts")
+    return joined.withColumn("link", F.when(F.col("__n").isNotNull(), F.xxhash64("__text", part))).drop("__n", "__parts")
 
 
 def _large(asked: DataFrame, parts: int) -> DataFrame:

@@ -44,22 +44,23 @@ def staged(df: DataFrame, codec: str = "zstd") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-#: A key with more than this part of the rows is hot; so there are fewer hot keys than this.
-HOT = 1024
-
-
-def hot_join(left: DataFrame, right: DataFrame, key: list[str], how: str = "inner", least: int = 10_000) -> DataFrame:
-    """left joined to right, which has one row for each key at most: rows of hot keys, of which there
-    are fewer than HOT, meet right's rows by broadcast and stay where they are; the others are
-    shuffled, and no key then brings more than one in HOT of the rows to a task."""
-    counts = left.groupBy(*key).agg(F.count("*").alias("__c")).where(F.col("__c") >= least)
-    limit = max(least, left.count() // HOT)
-    hot = left.sparkSession.createDataFrame(counts.where(F.col("__c") > limit).select(*key).collect(), left.select(*key).schema)
-    if hot.isEmpty():
+#: So many keys, those with the most rows, are joined by broadcast; any other has less than one in
+#: HOT of the rows. Fewer rows than FEW are no burden to a task, even if one key has them all.
+HOT, FEW = 1024, 1_000_000
+
+
+def hot_join(left: DataFrame, right: DataFrame, key: list[str], how: str = "inner", n: int | None = None, few: int = FEW) -> DataFrame:
+    """left, a table of n rows, joined to right, which has one row for each key at most: rows of hot
+    keys meet right's rows by broadcast and stay where they are; the others are shuffled."""
+    if (left.count() if n is None else n) < few:
+        return left.join(right, key, how)
+    counts = left.groupBy(*key).agg(F.count("*").alias("__c")).where(F.col("__c") >= few // 100)
+    top = counts.orderBy(F.desc("__c"), *key).limit(HOT).select(*key).collect()
+    if not top:
         return left.join(right, key, how)
-    mark = F.broadcast(hot.withColumn("__hot", F.lit(True)))
-    marked = left.join(mark, key, "left")
-    own = F.broadcast(right.join(F.broadcast(hot), key, "left_semi"))
+    hot = F.broadcast(left.sparkSession.createDataFrame(top, left.select(*key).schema))
+    marked = left.join(hot.withColumn("__hot", F.lit(True)), key, "left")
+    own = F.broadcast(right.join(hot, key, "left_semi"))
     return marked.where("__hot").drop("__hot").join(own, key, how).unionByName(marked.where("__hot is null").drop("__hot").join(right, key, how))
 
 

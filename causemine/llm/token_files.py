@@ -7,7 +7,7 @@ too. A block is a whole row, coded on its own, so readers decode blocks in paral
 checkpoints and a checksum.
 
 Defined cases: a null text is empty and has only the end id; rows with an equal doc_id are written
-one after the other, in the order of their texts; a null doc_id comes first; an empty table gives
+one after the other, in the order of a hash of their texts; a null doc_id comes first; an empty table gives
 an empty folder of the same form; other columns are left out.
 """
 
@@ -31,7 +31,7 @@ _IDS = "file int, block int, docs array<bigint>, sizes array<bigint>, n bigint,
 _BLOCKS = "file int, block int, docs array<bigint>, sizes array<bigint>, payload binary"
 
 
-def tokenised(docs: DataFrame, path: str, end: int, block_ids: int = 1 << 19) -> DataFrame:
+def tokenised(docs: DataFrame, path: str, end: int, block_ids: int = 1 << 18) -> DataFrame:
     """Blocks of plain ids: one range partition is one file, one block is about block_ids ids of
     whole documents."""
 
@@ -47,7 +47,7 @@ def tokenised(docs: DataFrame, path: str, end: int, block_ids: int = 1 << 19) ->
             ids = np.concatenate(held)
             return pa.RecordBatch.from_pylist([{"file": file, "block": block, "docs": docs, "sizes": sizes, "n": len(ids), "ids": ids.tobytes()}], schema=schema)
 
-        for batch in by_bytes(batches):
+        for batch in by_bytes(batches, most=4_000_000):
             for doc, ids in zip(batch.column("doc_id").to_pylist(), tokenizer.ids_of(batch.column("text")), strict=True):
                 docs.append(doc)
                 sizes.append(len(ids) + 1)
@@ -61,10 +61,12 @@ def tokenised(docs: DataFrame, path: str, end: int, block_ids: int = 1 << 19) ->
 
     schema = pa.schema([("file", pa.int32()), ("block", pa.int32()), ("docs", pa.list_(pa.int64())), ("sizes", pa.list_(pa.int64())), ("n", pa.int64()), ("ids", pa.binary())])
     text = docs.select(F.col("doc_id").cast("long"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    return text.repartitionByRange(partitions(docs.sparkSession), "doc_id").sortWithinPartitions("doc_id", "text").mapInArrow(cut, _IDS)
+    # Rows with an equal doc_id, or none, may fall into several files: a hash of the text parts them.
+    dealt = text.withColumn("tie", F.xxhash64("text")).repartitionByRange(partitions(docs.sparkSession), "doc_id", "tie")
+    return dealt.sortWithinPartitions("doc_id", "tie", "text").select("doc_id", "text").mapInArrow(cut, _IDS)
 
 
-def write(docs: DataFrame, folder: str, path: str, end: int, block_ids: int = 1 << 19) -> None:
+def write(docs: DataFrame, folder: str, path: str, end: int, block_ids: int = 1 << 18) -> None:
     """Tokenise docs (doc_id, text) with the vocabulary file at path and write the folder.
 
     Both passes after the first read the staged ids, not the texts. Only the vocabulary's table of
