@@ -191,10 +191,15 @@ class PreTokenizer:
         if not slow.all():
             codes, offsets, units = self._units(texts.filter(pa.array(~slow)))
             ids, starts, sizes = self._kept_units.get(units, self._units_made)
-            flat, ends = _gathered(ids, starts[codes], sizes[codes])
-            bounds = np.concatenate(([0], ends))[offsets]
-            for i, a, b in zip(np.flatnonzero(~slow), bounds[:-1], bounds[1:], strict=True):
-                found[i] = flat[a:b]
+            own, first = np.flatnonzero(~slow), 0
+            while first < len(own):  # some texts at a time, as the steps in between take much room
+                last = max(first + 1, int(np.searchsorted(offsets, offsets[first] + 200_000, "right")) - 1)
+                some = codes[offsets[first] : offsets[last]]
+                flat, ends = _gathered(ids, starts[some], sizes[some])
+                bounds = np.concatenate(([0], ends))[offsets[first : last + 1] - offsets[first]]
+                for i, a, b in zip(own[first:last].tolist(), bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+                    found[i] = flat[a:b]
+                first = last
         return found
 
     def frequencies(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray, list[str]]:
