@@ -91,17 +91,19 @@ def _pass(rows: DataFrame, own: list[list[int]], parallelism: int | None) -> Dat
 def count_sets(rows: DataFrame, sets: DataFrame, parallelism: int | None = None, most: int = SETS_MOST) -> DataFrame:
     """items, n_x, n_xy of sets (items) over rows (items, n_all, n_pos); sets that no row holds are left out.
 
-    A set's items have one order throughout. Sets come to the driver in groups of at most `most`,
-    which bounds what is broadcast; beyond that the rows are read once for each group.
+    A set's items have one order throughout. Sets come to the driver in groups of about `most` at most,
+    which bounds what is broadcast; beyond that the rows are read once for each group. sets should be
+    a table, as it may be read several times.
 
     parallelism None: tasks share the rows. n: n tasks share the sets, and each reads all rows.
     """
-    n = sets.count()
-    groups = max(1, -(-n // most))
-    out = None
-    for g in range(groups):
-        part = sets if groups == 1 else sets.where(F.pmod(F.xxhash64("items"), F.lit(groups)) == g)
-        own = sorted(r["items"] for r in part.select("items").collect())
-        found = _pass(rows, own, parallelism)
-        out = found if out is None else out.unionByName(found)
+    gathered = lambda part: sorted(r["items"] for r in part.select("items").collect())
+    own = gathered(sets.limit(most + 1))
+    if len(own) <= most:
+        out = _pass(rows, own, parallelism)
+    else:
+        out, groups = None, 1 + sets.count() * 5 // (most * 4)  # a group may be a little larger than the mean
+        for g in range(groups):
+            found = _pass(rows, gathered(sets.where(F.pmod(F.xxhash64("items"), F.lit(groups)) == g)), parallelism)
+            out = found if out is None else out.unionByName(found)
     return out.groupBy("items").agg(F.sum("n_x").alias("n_x"), F.sum("n_xy").alias("n_xy"))

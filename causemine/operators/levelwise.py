@@ -59,8 +59,8 @@ def mine_levelwise(compact: DataFrame, least: int, max_length: int, parallelism:
         candidates = next_candidates(level, items.columns)
         if k > 1:
             candidates = prune_candidates(candidates, level)
-        candidates = staged(candidates)
-        n = candidates.count()
+        if whole:
+            n = candidates.count()
         level = count_sets(inside, candidates, parallelism)
     found = _union(levels) if levels else compact.sparkSession.createDataFrame([], "items array<int>, n_x bigint, n_xy bigint")
     if reference and not whole and levels:
@@ -76,8 +76,8 @@ def _union(parts: list[DataFrame]) -> DataFrame:
 
 
 def count_reference(found: DataFrame, rows: DataFrame, items: Items) -> DataFrame:
-    """items, n_x, n_xy over all rows for found sets; the dictionary has those of single items."""
-    longer = staged(found.where("size(items) > 1").select("items"))
+    """items, n_x, n_xy over all rows for found sets, a table; the dictionary has those of single items."""
+    longer = found.where("size(items) > 1").select("items")
     singles = first_level(items, rows.sparkSession).join(found.select("items"), "items", "left_semi")
     return singles.unionByName(count_sets(rows, longer))
 

@@ -135,9 +135,10 @@ def mine_units(rows: DataFrame, max_length: int, shards: int, unit_most: int = U
     small, heavy = [], staged(emit_prefixes(rows))
     for depth in range(1, max_length):
         size = heavy.groupBy("by", "unit").agg(F.sum(F.size("prefix")).alias("cost"), F.sum("n_pos").alias("pos"), F.first("least").alias("least"))
-        costly = staged(size.where((F.col("cost") > unit_most) & (F.col("pos") >= F.col("least"))).select("by", "unit"))
+        costly = size.where((F.col("cost") > unit_most) & (F.col("pos") >= F.col("least"))).select("by", "unit")
         if costly.isEmpty():
             break
+        costly = staged(costly)
         # A unit that is split still has the set of its suffix alone.
         alone = heavy.join(costly, ["by", "unit"], "left_semi").select("by", "least", "unit", F.array().cast("array<int>").alias("prefix"), "n_pos", "n_all")
         small += [heavy.join(costly, ["by", "unit"], "left_anti"), _summed(alone)]

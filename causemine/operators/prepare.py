@@ -26,16 +26,15 @@ def structure_log(lines: DataFrame, vocabulary: DataFrame, kinds: list[str], lay
     vocabulary (pattern, kind, tool) maps messages, which may be worded in several ways, to
     canonical kinds; a message may match several kinds, and one that matches none is dropped. The
     vocabulary is fixed by whoever designs the log's schema, and refused beyond VOCABULARY_MOST
-    patterns. Distinct messages are matched once, where the lines are.
+    patterns; they are conditions of one projection, so lines are matched where they are read.
     """
     known = vocabulary.select("pattern", "kind", "tool").limit(VOCABULARY_MOST + 1).collect()
     if len(known) > VOCABULARY_MOST:
         raise ValueError(f"a vocabulary has at most {VOCABULARY_MOST} patterns")
     hits = [F.when(F.col("message").rlike(r["pattern"]), F.struct(F.lit(r["kind"]).alias("kind"), F.lit(r["tool"]).cast("string").alias("tool"))) for r in known]
     none = F.array().cast("array<struct<kind:string,tool:string>>")
-    summed = lines.groupBy("time", "message").agg(F.count("*").alias("n"))
-    found = summed.select("time", "n", F.explode(F.array_compact(F.array(*hits)) if hits else none).alias("hit")).select("time", "n", "hit.kind", "hit.tool")
-    per = found.groupBy("time", "kind").agg(F.sum("n").alias("n"), F.max("tool").alias("tool"))
+    found = lines.select("time", F.explode(F.array_compact(F.array(*hits)) if hits else none).alias("hit")).select("time", "hit.kind", "hit.tool")
+    per = found.groupBy("time", "kind").agg(F.count("*").alias("n"), F.max("tool").alias("tool"))
     if layout == "narrow":
         return per.select("time", "kind", "n", "tool")
     wide = per.groupBy("time").pivot("kind", kinds).agg(F.sum("n"))

@@ -331,7 +331,7 @@ _BOTH = _OUT + _LEFT
 _query("condense_w1", o.condensed("server_like", 5, 100000, 1.0, 1.05, 1.0, "simultaneous") + _BOTH)(_condensed("server_like", 0.1, 5))
 _query("condense_w1_strong", o.condensed("server_like", 5, 100000, 1.0, 1.05, 1.2, "simultaneous") + _BOTH)(_condensed("server_like", 0.1, 5, h_lift_long=1.2, h_lift_short=1.2))
 _query("condense_w2_seq", o.condensed("request_like", 5, 100000, 1.0, 1.05, 1.0, "sequential") + _BOTH)(_condensed("request_like", 0.1, 5, mode="sequential"))
-for _n, _k in (("five_way", 5), ("five_way", 3), ("five_way_noisy", 5)):
+for _n, _k in (("five_way", 5), ("five_way", 3), ("five_way_noisy", 5), ("five_way_noisy", 3)):
     _query(f"condense_{_n}_l{_k}", o.condensed(_n, _k, 500000, 1.0, 1.05, 1.0, "simultaneous") + _BOTH)(_condensed(_n, 0.5, _k))
 
 
