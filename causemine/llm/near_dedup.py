@@ -121,12 +121,12 @@ def components(edges: DataFrame) -> DataFrame:
     """
     both = staged(edges.select("a", "b").union(edges.select("b", "a")).distinct())
     n = both.count()
-    labels = staged(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("node")).alias("label")))
+    labels = staged(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("node")).alias("label")), rows=n)
     while True:
         near = hot_join(both, labels.withColumnRenamed("node", "a"), ["a"], n=n).groupBy(F.col("b").alias("node")).agg(F.min("label").alias("near"))
-        step = staged(labels.join(near, "node").select("node", F.col("label").alias("old"), F.least("label", "near").alias("label")))
+        step = staged(labels.join(near, "node").select("node", F.col("label").alias("old"), F.least("label", "near").alias("label")), rows=n)
         jump = step.select(F.col("node").alias("label"), F.col("label").alias("next"))
-        new = staged(hot_join(step, jump, ["label"], n=n).select("node", "old", F.least("label", "next").alias("label")))
+        new = staged(hot_join(step, jump, ["label"], n=n).select("node", "old", F.least("label", "next").alias("label")), rows=n)
         if new.where("label < old").isEmpty():
             return new.select("node", "label")
         labels = new.select("node", "label")
@@ -201,9 +201,12 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> Dat
     signed = staged(signatures(docs, shingle))
     own = signed.where("n > 0 and doc_id is not null")
     key = ["h1", "h2"]
-    # Each distinct set gets a number of its own, rep, and the least document that has it.
+    several = _several(own)
+    # A distinct set is named, as rep, by the least document that has it, which makes the first of
+    # several copies the centre of its bucket; by a number where documents have several sets.
     reps = own.groupBy(*key).agg(F.min("doc_id").alias("doc"), F.min("n").alias("n"), F.count("*").alias("copies"))
-    reps = staged(reps.withColumn("rep", F.monotonically_increasing_id()))
+    reps = reps.withColumn("rep", F.col("doc") if several is None else F.monotonically_increasing_id())
+    reps = staged(reps)
     first = own.select(F.col("doc_id").alias("doc"), *key, "bands").join(reps.select(*key, "doc", "rep", "n"), [*key, "doc"])
     rows = staged(first.select("rep", "n", F.explode("bands").alias("key")).dropDuplicates(["rep", "key"]))
     shared = staged(rows.groupBy("key").agg(F.count("*").alias("k")).where("k > 1").select("key"))
@@ -226,21 +229,27 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> Dat
         comps = _relabelled(comps, staged(_block_links(members, sets, percent)))
 
     placed = reps.join(comps, "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
-    placed = _relabelled(placed, staged(_same_document(own, placed)))
-    least = staged(placed.groupBy("comp").agg(F.min("doc").alias("component_id"), F.count("*").alias("sets")).where("sets > 1").select("comp", "component_id"))
-    moved = hot_join(placed, least, ["comp"], "left").withColumn("component_id", F.coalesce("component_id", "doc"))
+    if several is None:
+        moved = placed.withColumn("component_id", F.col("comp"))
+    else:
+        placed = staged(_relabelled(placed, staged(_same_document(own, several, placed))))
+        least = staged(placed.groupBy("comp").agg(F.min("doc").alias("component_id")))
+        moved = hot_join(placed, least, ["comp"])
     moved = staged(moved.where("copies > 1 or component_id <> doc").select(*key, "component_id"))
     placed = hot_join(signed.select("doc_id", "n", *key), moved, key, "left")
     component = F.when(F.col("n") > 0, F.coalesce("component_id", "doc_id")).otherwise(F.col("doc_id"))
     return placed.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), component).alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
-def _same_document(own: DataFrame, placed: DataFrame) -> DataFrame:
+def _several(own: DataFrame) -> DataFrame | None:
+    """The documents that have several sets, if there are any."""
+    one = F.xxhash64("h1", "h2")
+    found = staged(own.groupBy("doc_id").agg(F.min(one).alias("low"), F.max(one).alias("high")).where("low <> high").select("doc_id"))
+    return None if found.isEmpty() else found
+
+
+def _same_document(own: DataFrame, several: DataFrame, placed: DataFrame) -> DataFrame:
     """Links (a, b) between the components of a document's sets, where it has several."""
-    one = F.struct("h1", "h2")
-    several = staged(own.groupBy("doc_id").agg(F.min(one).alias("low"), F.max(one).alias("high")).where("low <> high").select("doc_id"))
-    if several.isEmpty():
-        return placed.select(F.col("comp").alias("a"), F.col("comp").alias("b")).limit(0)
     each = own.select("doc_id", "h1", "h2").join(several, "doc_id", "left_semi").distinct().join(placed.select("h1", "h2", "comp"), ["h1", "h2"])
     centre = each.groupBy("doc_id").agg(F.min("comp").alias("b"))
     return each.join(centre, "doc_id").where("comp <> b").select(F.col("comp").alias("a"), "b").distinct()

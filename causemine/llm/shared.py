@@ -35,10 +35,12 @@ def scratch(spark: SparkSession) -> str:
     return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
 
 
-def staged(df: DataFrame, codec: str = "zstd") -> DataFrame:
+def staged(df: DataFrame, codec: str = "zstd", rows: int | None = None) -> DataFrame:
     """Write df as Parquet to the shared folder and read it back: it cuts the lineage, survives
-    lost executors, prunes columns, and gives the planner true sizes."""
+    lost executors, prunes columns, and gives the planner true sizes. rows: how many there are at
+    most, of a narrow table; few rows then make few files."""
     spark = df.sparkSession
+    df = df if rows is None else df.coalesce(1 + rows // FEW)
     path = scratch(spark)
     df.write.option("compression", codec).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
