@@ -149,8 +149,8 @@ def _mixed(members: DataFrame) -> DataFrame:
 def _star(members: DataFrame, centre: Column, percent: int) -> tuple[DataFrame, DataFrame]:
     """The members but for each bucket's centre, which is then compared with all of them, and the
     edges to it from members of other components."""
-    of = staged(members.groupBy("key").agg(centre.alias("centre")).select("key", "centre.*").withColumnsRenamed({"rep": "b", "n": "n_b", "comp": "comp_b"}))
-    joined = hot_join(members, of, ["key"])
+    of = staged(members.groupBy("key").agg(centre.alias("centre"), F.count("*").alias("size")).select("key", "size", "centre.*").withColumnsRenamed({"rep": "b", "n": "n_b", "comp": "comp_b"}))
+    joined = hot_join(members, of, ["key"], sizes="size")
     fit = (F.col("rep") != F.col("b")) & (F.col("comp") != F.col("comp_b")) & _sizes_fit(F.col("n"), F.col("n_b"), percent)
     edges = joined.where(fit).select(F.col("rep").alias("a"), "b", "comp", "comp_b").distinct()
     return joined.where("rep <> b").select("key", "rep", "n", "comp"), edges
@@ -233,10 +233,10 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> Dat
         moved = placed.withColumn("component_id", F.col("comp"))
     else:
         placed = staged(_relabelled(placed, staged(_same_document(own, several, placed))))
-        least = staged(placed.groupBy("comp").agg(F.min("doc").alias("component_id")))
-        moved = hot_join(placed, least, ["comp"])
-    moved = staged(moved.where("copies > 1 or component_id <> doc").select(*key, "component_id"))
-    placed = hot_join(signed.select("doc_id", "n", *key), moved, key, "left")
+        least = staged(placed.groupBy("comp").agg(F.min("doc").alias("component_id"), F.count("*").alias("sets")))
+        moved = hot_join(placed, least, ["comp"], sizes="sets")
+    moved = staged(moved.where("copies > 1 or component_id <> doc").select(*key, "component_id", "copies"))
+    placed = hot_join(signed.select("doc_id", "n", *key), moved, key, "left", sizes="copies")
     component = F.when(F.col("n") > 0, F.coalesce("component_id", "doc_id")).otherwise(F.col("doc_id"))
     return placed.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), component).alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 

@@ -36,7 +36,7 @@ def _links(rows: DataFrame, limit: int) -> DataFrame:
     """Add link (null where no other document has the text)."""
     groups = rows.groupBy("__text").agg(F.count("*").alias("__n")).where("__n > 1")
     groups = staged(groups.withColumn("__parts", F.ceil(F.col("__n") / limit)))
-    joined = hot_join(rows, groups, ["__text"], "left")
+    joined = hot_join(rows, groups, ["__text"], "left", sizes="__n")
     part = F.pmod(_bucket("part", "doc_id", "__salt"), F.col("__parts"))
     return joined.withColumn("link", F.when(F.col("__n").isNotNull(), F.xxhash64("__text", part))).drop("__n", "__parts")
 

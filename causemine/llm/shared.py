@@ -51,13 +51,17 @@ def staged(df: DataFrame, codec: str = "zstd", rows: int | None = None) -> DataF
 HOT, FEW = 1024, 1_000_000
 
 
-def hot_join(left: DataFrame, right: DataFrame, key: list[str], how: str = "inner", n: int | None = None, few: int = FEW) -> DataFrame:
+def hot_join(left: DataFrame, right: DataFrame, key: list[str], how: str = "inner", n: int | None = None, few: int = FEW, sizes: str | None = None) -> DataFrame:
     """left, a table of n rows, joined to right, which has one row for each key at most: rows of hot
-    keys meet right's rows by broadcast and stay where they are; the others are shuffled."""
-    if (left.count() if n is None else n) < few:
+    keys meet right's rows by broadcast and stay where they are; the others are shuffled. sizes: a
+    column of right, a table, that already tells how many rows of left a key has."""
+    if sizes:
+        counts = right.select(*key, F.col(sizes).alias("__c"))
+    elif (left.count() if n is None else n) < few:
         return left.join(right, key, how)
-    counts = left.groupBy(*key).agg(F.count("*").alias("__c")).where(F.col("__c") >= few // 100)
-    top = counts.orderBy(F.desc("__c"), *key).limit(HOT).select(*key).collect()
+    else:
+        counts = left.groupBy(*key).agg(F.count("*").alias("__c"))
+    top = counts.where(F.col("__c") >= few // 10).orderBy(F.desc("__c"), *key).limit(HOT).select(*key).collect()
     if not top:
         return left.join(right, key, how)
     hot = F.broadcast(left.sparkSession.createDataFrame(top, left.select(*key).schema))

@@ -34,8 +34,8 @@ def test_hot_keys_join_alike(spark):
     left = spark.range(40_000).select((F.col("id") % 7 * F.when(F.col("id") % 3 == 0, 1).otherwise(0)).alias("k"), "id")
     right = spark.createDataFrame([(0, "a"), (1, "b"), (6, "c")], "k long, v string")
     for how in ("inner", "left"):
-        got = hot_join(left, right, ["k"], how, few=1000)
-        assert sorted(map(tuple, got.select("k", "id", "v").collect()), key=str) == sorted(map(tuple, left.join(right, "k", how).select("k", "id", "v").collect()), key=str)
+        for got in (hot_join(left, right, ["k"], how, few=1000), hot_join(left, right.withColumn("c", F.lit(9000)), ["k"], how, few=1000, sizes="c"), hot_join(left, right, ["k"], how)):
+            assert sorted(map(tuple, got.select("k", "id", "v").collect()), key=str) == sorted(map(tuple, left.join(right, "k", how).select("k", "id", "v").collect()), key=str)
 
 
 def test_components_of_long_chains_and_stars(spark):
