@@ -7,7 +7,6 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..config import MICRO
-from ..functions import metrics as m
 from ..plans.staging import staged
 from .counting import count_sets
 from .items import Items, dims_of, itemize
@@ -36,7 +35,7 @@ def _by(compact: DataFrame, by: str, dims: list[str], min_support: float, max_le
     spark = compact.sparkSession
     own = staged(compact.select(F.col(by).cast("string").alias("by"), *dims, "n_all", "n_pos").where("by is not null"))
     total = staged(own.groupBy("by").agg(F.sum("n_all").alias("n"), F.sum("n_pos").alias("n_y")))
-    least = total.select("by", F.greatest(F.ceil(F.col("n_y") * round(min_support * MICRO) / F.lit(MICRO)), F.lit(1)).cast("long").alias("least"))
+    least = total.select("by", F.greatest(F.expr(f"(n_y * {round(min_support * MICRO)} + {MICRO - 1}) div {MICRO}"), F.lit(1)).cast("long").alias("least"))
     known = Items.of_some(own, "by", least)
     rows = staged(itemize(own, known, extra=("by",)))
     found = mine_units(rows.join(least, "by"), max_length, 2 * spark.sparkContext.defaultParallelism)

@@ -134,21 +134,21 @@ def running_weights(stream: DataFrame, dims: list[str], idle: str = "2 hours") -
     """Weights of each tuple of dims (and y) as state of our own, for rules that windows cannot say: a
     tuple that is not seen for `idle` of event time starts again at zero. dims, n_all, n_pos, last,
     a row for each tuple of each batch."""
-    names = ", ".join(f"{c} string" for c in dims)
-    milliseconds = round(pd.Timedelta(idle).total_seconds() * 1000)
+    names, limit = ", ".join(f"{c} string" for c in dims), round(pd.Timedelta(idle).total_seconds() * 1000)
 
     def step(key, parts, state):
         n_all, n_pos, last = state.get if state.exists else (0, 0, None)
-        rows = pd.concat(list(parts)).sort_values("ts")
-        for y, ts in zip(rows["y"].tolist(), rows["ts"].astype("int64").floordiv(1_000_000 if str(rows["ts"].dtype).startswith("datetime64[ns") else 1000).tolist(), strict=True):
-            if last is not None and ts - last > milliseconds:
+        rows = pd.concat(list(parts)).sort_values("at")
+        for y, at in zip(rows["y"].tolist(), rows["at"].tolist(), strict=True):
+            if last is not None and at - last > limit:
                 n_all = n_pos = 0
-            n_all, n_pos, last = n_all + 1, n_pos + int(y), max(ts, last or ts)
+            n_all, n_pos, last = n_all + 1, n_pos + y, max(at, last or at)
         state.update((n_all, n_pos, last))
         yield pd.DataFrame([[*key, n_all, n_pos, last]], columns=[*dims, "n_all", "n_pos", "last"])
 
-    own = stream.select(*[F.col(c).cast("string").alias(c) for c in dims], "y", "ts")
-    return own.groupBy(*dims).applyInPandasWithState(step, f"{names}, n_all long, n_pos long, last long", "n_all long, n_pos long, last long", "update", "NoTimeout")
+    counts = "n_all long, n_pos long, last long"
+    own = stream.select(*[F.col(c).cast("string").alias(c) for c in dims], F.col("y").cast("long").alias("y"), F.unix_millis("ts").alias("at"))
+    return own.groupBy(*dims).applyInPandasWithState(step, f"{names}, {counts}", counts, "update", "NoTimeout")
 
 
 def stateful(spark: SparkSession, d: str) -> DataFrame:
