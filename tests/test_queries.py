@@ -21,6 +21,7 @@ def answers(spark, name, folder):
 
 @pytest.mark.parametrize(("name", "table", "part"), [
     ("candidate_bounds", "lineitem", "l_returnflag = 'R'"),
+    ("condense_annihilation", "lineitem", "l_discount > 0.065"),
 ])
 def test_results_follow_the_table(spark, tmp_path, name, table, part):
     for other in os.listdir(WHOLE):
@@ -28,3 +29,7 @@ def test_results_follow_the_table(spark, tmp_path, name, table, part):
             os.symlink(f"{WHOLE}/{other}", tmp_path / other)
     duckdb.sql(f"copy (select * from '{WHOLE}/{table}.parquet' where {part}) to '{tmp_path}/{table}.parquet' (format parquet)")
     assert answers(spark, name, WHOLE) != answers(spark, name, str(tmp_path))
+
+
+def test_a_chain_of_the_tables_is_dropped_at_once(spark):
+    assert answers(spark, "condense_annihilation", WHOLE) == [("sequential", 3), ("simultaneous", 0)]
