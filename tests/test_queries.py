@@ -22,6 +22,7 @@ def answers(spark, name, folder):
 @pytest.mark.parametrize(("name", "table", "part"), [
     ("candidate_bounds", "lineitem", "l_returnflag = 'R'"),
     ("condense_annihilation", "lineitem", "l_discount > 0.065"),
+    ("condense_examples", "lineitem", "l_linestatus = 'F'"),
 ])
 def test_results_follow_the_table(spark, tmp_path, name, table, part):
     for other in os.listdir(WHOLE):
