@@ -23,6 +23,7 @@ def answers(spark, name, folder):
     ("candidate_bounds", "lineitem", "l_returnflag = 'R'"),
     ("condense_annihilation", "lineitem", "l_discount > 0.065"),
     ("condense_examples", "lineitem", "l_linestatus = 'F'"),
+    ("confidence_vs_lift", "lineitem", "l_returnflag = 'R'"),
 ])
 def test_results_follow_the_table(spark, tmp_path, name, table, part):
     for other in os.listdir(WHOLE):
