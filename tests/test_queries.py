@@ -24,6 +24,7 @@ def answers(spark, name, folder):
     ("condense_annihilation", "lineitem", "l_discount > 0.065"),
     ("condense_examples", "lineitem", "l_linestatus = 'F'"),
     ("confidence_vs_lift", "lineitem", "l_returnflag = 'R'"),
+    ("structure_raw_lines", "events", "value > 50"),
 ])
 def test_results_follow_the_table(spark, tmp_path, name, table, part):
     for other in os.listdir(WHOLE):
@@ -35,3 +36,9 @@ def test_results_follow_the_table(spark, tmp_path, name, table, part):
 
 def test_a_chain_of_the_tables_is_dropped_at_once(spark):
     assert answers(spark, "condense_annihilation", WHOLE) == [("sequential", 3), ("simultaneous", 0)]
+
+
+def test_raw_lines_of_events_with_gaps(spark, tmp_path):
+    rows = "(1, timestamp '2024-01-01 00:07:59', 4, 'purchase'), (2, timestamp '2024-01-01 00:07:00', null, 'purchase'), (null, timestamp '2024-01-01 00:07:00', 4, 'signup'), (3, null, 4, 'error'), (4, timestamp '2023-12-31 23:59:00', null, 'error'), (5, timestamp '2023-12-31 23:59:00', 1, null), (6, timestamp '2023-12-31 23:58:00', 1, 'view'), (7, timestamp '2024-01-01 00:07:00', 1, 'click')"
+    duckdb.sql(f"copy (select * from (values {rows}) t(event_id, ts, user_id, event_type)) to '{tmp_path}/events.parquet' (format parquet)")
+    assert answers(spark, "structure_raw_lines", str(tmp_path)) == [("473351:59", 1, 0, 0, 0, None), ("473352:07", 0, 2, 1, 0, "y")]
