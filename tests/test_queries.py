@@ -3,8 +3,10 @@
 import os
 
 import duckdb
+import pyarrow as pa
 import pytest
 
+from causemine.operators import counting
 from causemine.queries import ORACLES, QUERIES
 
 WHOLE = "/root/testdata/sf0.001"
@@ -42,3 +44,9 @@ def test_raw_lines_of_events_with_gaps(spark, tmp_path):
     rows = "(1, timestamp '2024-01-01 00:07:59', 4, 'purchase'), (2, timestamp '2024-01-01 00:07:00', null, 'purchase'), (null, timestamp '2024-01-01 00:07:00', 4, 'signup'), (3, null, 4, 'error'), (4, timestamp '2023-12-31 23:59:00', null, 'error'), (5, timestamp '2023-12-31 23:59:00', 1, null), (6, timestamp '2023-12-31 23:58:00', 1, 'view'), (7, timestamp '2024-01-01 00:07:00', 1, 'click')"
     duckdb.sql(f"copy (select * from (values {rows}) t(event_id, ts, user_id, event_type)) to '{tmp_path}/events.parquet' (format parquet)")
     assert answers(spark, "structure_raw_lines", str(tmp_path)) == [("473351:59", 1, 0, 0, 0, None), ("473352:07", 0, 2, 1, 0, "y")]
+
+
+def test_batches_without_a_frequent_item_are_counted():
+    batch = lambda *lists: pa.RecordBatch.from_arrays([pa.array(lists, pa.list_(pa.int32())), pa.array([5] * len(lists), pa.int64()), pa.array([2] * len(lists), pa.int64())], ["items", "n_all", "n_pos"])
+    found = counting.counted_in(iter([batch([], []), batch([0, 1], []), batch()]), [[0, 1], [2]])
+    assert found.to_pylist() == [{"items": [0, 1], "n_x": 5, "n_xy": 2}]
