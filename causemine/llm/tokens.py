@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import contextlib
 import ctypes
+import os
 import re
 from collections.abc import Callable, Iterator
 from functools import lru_cache
@@ -18,6 +19,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from tokenizers import Tokenizer
+from tokenizers.pre_tokenizers import WhitespaceSplit
 
 #: Characters whose class is the same for every regular expression engine.
 _ODD = re.compile("[^\t\n\r -~À-ÖØ-öø-ÿ]")
@@ -27,6 +29,9 @@ _WORD_LEVEL = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿ]+|[0-9]|[^\sa-
 #: What the fast cuts leave out: an odd character, a special string, a space before white space or at the end.
 _SLOW = "[^\t\n\r -~À-ÖØ-öø-ÿ]|<\\||[ ][ \t\n\r]|[ ]$"
 
+#: Two bytes that UTF-8 never has: one parts pre-tokens, one marks them.
+_PART, _MARK = b"\xfe", b"\xff"
+
 
 def _byte_characters() -> dict[int, str]:
     """The printable stand-in of each byte: itself where printable in Latin-1, else from 256 on."""
@@ -72,6 +77,7 @@ class PreTokenizer:
     """
 
     def __init__(self, path: str, most: int = 1_000_000) -> None:
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a worker has one core
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
@@ -84,40 +90,41 @@ class PreTokenizer:
         self._most = most
         wide = self.library.get_vocab_size(with_added_tokens=True) > 65536
         self.dtype = np.dtype("<u4") if wide else np.dtype("<u2")
-        self._plain = "^[a-zß-öø-ÿ]+$" if self.words else "^ [A-Za-zÀ-ÖØ-öø-ÿ]+$"
-        # The ids whose piece begins with a space; no piece has one elsewhere.
-        self._spaced = np.zeros(1 + max(self.library.get_vocab(with_added_tokens=True).values()), bool)
-        self._spaced[[i for t, i in self.library.get_vocab().items() if t.startswith(self._byte[32])]] = True
+        # The model alone, for pre-tokens whose bytes are shown already.
+        self._merges = Tokenizer(self.model)
+        self._merges.pre_tokenizer = WhitespaceSplit()
+        self._shown = np.array([ord(self._byte[i]) for i in range(256)], "<u2")
+        self._shown[_PART[0]] = 32
+        # A mark before a pre-token is a piece of its own if nothing is ever merged with it.
+        mark, held = self._byte[_MARK[0]], self.library.get_vocab(with_added_tokens=False)
+        alone = {t for t in held if mark in t} <= {mark, mark + (self.model.end_of_word_suffix or "")}
+        simple = self.model.dropout is None and not self.model.ignore_merges and not self.model.continuing_subword_prefix
+        self._mark = held.get(mark) if alone and simple else None
         self._kept_units, self._kept_pre_tokens = _Kept(most // 2, self.dtype), _Kept(most // 2, self.dtype)
 
     def pieces(self, pre_token: str) -> list[int]:
         shown = pre_token.encode().decode("latin-1").translate(self._byte)
         return [t.id for t in self.model.tokenize(shown)]
 
-    def _words_made(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of plain words and how many each has: as one text, which the library cuts the same way."""
-        found = self.library.encode((" " if self.words else "").join(words), add_special_tokens=False)
-        ids = np.array(found.ids, self.dtype)
-        starts = np.flatnonzero(np.diff(np.array(found.word_ids, np.int64), prepend=-1) if self.words else self._spaced[ids])
-        if len(starts) == len(words):
-            return ids, np.diff(starts, append=len(ids))
-        return self._one_by_one(words)
-
-    def _one_by_one(self, pre_tokens: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        lists = list(map(self.pieces, pre_tokens))
-        return np.array([i for own in lists for i in own], self.dtype), np.fromiter(map(len, lists), np.int64, len(lists))
-
     def _made(self, pre_tokens: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of distinct pre-tokens, in a row, and how many each has."""
-        plain = pc.match_substring_regex(pre_tokens, self._plain).to_numpy(zero_copy_only=False)
-        words = pre_tokens.filter(pa.array(plain)).to_pylist()
-        parts = [self._words_made(words[i : i + 4096]) for i in range(0, len(words), 4096)]
-        parts.append(self._one_by_one(pre_tokens.filter(pa.array(~plain)).to_pylist()))
-        ids, sizes = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
-        starts = np.cumsum(sizes) - sizes
-        place = np.empty(len(plain), np.int64)
-        place[np.concatenate((np.flatnonzero(plain), np.flatnonzero(~plain)))] = np.arange(len(plain))
-        return _gathered(ids, starts[place], sizes[place])[0], sizes[place]
+        """Ids of distinct pre-tokens, in a row, and how many each has: the library's model gets them
+        some at a time, parted by spaces, which no pre-token has once its bytes are shown."""
+        ids, sizes = [np.empty(0, self.dtype)], [np.empty(0, np.int64)]
+        for i in range(0, len(pre_tokens), 4096):
+            own = pre_tokens.slice(i, 4096)
+            parted = pc.binary_join_element_wise(_PART if self._mark is None else _PART + _MARK, own.cast(pa.binary()), b"")
+            shown = self._shown[_flat(parted)].tobytes().decode("utf-16-le")
+            if self._mark is None:
+                found = self._merges.encode(shown, add_special_tokens=False)
+                ids.append(np.array(found.ids, self.dtype))
+                sizes.append(np.bincount(np.array(found.word_ids, np.int64), minlength=len(own)))
+            else:  # the faster call does not tell the words, so a mark begins each
+                (found,) = self._merges.encode_batch_fast([shown], add_special_tokens=False)
+                marked = np.array(found.ids, self.dtype)
+                starts = np.flatnonzero(marked == self._mark)
+                ids.append(np.delete(marked, starts))
+                sizes.append(np.diff(starts, append=len(marked)) - 1)
+        return np.concatenate(ids), np.concatenate(sizes)
 
     def counts(self, pre_tokens: pa.Array) -> np.ndarray:
         """How many pieces each distinct pre-token has."""
@@ -129,9 +136,17 @@ class PreTokenizer:
     def _cut(self, units: pa.Array) -> tuple[pa.Array, np.ndarray, np.ndarray]:
         """The distinct pre-tokens of units, the number of each in its place, and how many a unit has."""
         cut = (_WORD_LEVEL if self.words else _BYTE_LEVEL).findall
-        lists = list(map(cut, units.to_pylist()))
-        coded = pa.array([p for own in lists for p in own], pa.string()).dictionary_encode()
-        return coded.dictionary, coded.indices.to_numpy(), np.fromiter(map(len, lists), np.int32, len(lists))
+        # The units up to the first without a space before a character are cut as one text: each of their
+        # spaces begins a pre-token there, as it does in the unit alone.
+        spaced = pc.match_substring_regex(units, r"^ \S").to_numpy(zero_copy_only=False)
+        n = 0 if self.words else int(np.argmin(np.append(spaced, False)))
+        joined = cut(_flat(units.slice(0, n)).tobytes().decode())
+        lists = list(map(cut, units.slice(n).to_pylist()))
+        coded = pa.array(joined + [p for own in lists for p in own], pa.string()).dictionary_encode()
+        codes = coded.indices.to_numpy()
+        starts = np.flatnonzero(pc.starts_with(coded.dictionary, " ").to_numpy(zero_copy_only=False)[codes[: len(joined)]])
+        many = np.concatenate((np.diff(starts, append=len(joined)), np.fromiter(map(len, lists), np.int64, len(lists))))
+        return coded.dictionary, codes, many.astype(np.int32)
 
     def _units_made(self, units: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         pre_tokens, codes, many = self._cut(units)
@@ -170,16 +185,19 @@ class PreTokenizer:
         each text starts, and the distinct units."""
         lists = pc.ascii_split_whitespace(pc.utf8_lower(texts)) if self.words else pc.split_pattern(texts, " ")
         offsets = lists.offsets.to_numpy().astype(np.int64)
-        coded = lists.values.slice(offsets[0], offsets[-1] - offsets[0]).dictionary_encode()
-        codes, units = coded.indices.to_numpy(), coded.dictionary
+        values = lists.values.slice(offsets[0], offsets[-1] - offsets[0])
         offsets = offsets - offsets[0]
         if self.words:
-            return codes, offsets, units
+            coded = values.dictionary_encode()
+            return coded.indices.to_numpy(), offsets, coded.dictionary
         # A space belongs to the pre-token after it; the first unit of a text has none before it.
-        starts = pc.list_element(lists, 0).dictionary_encode()
-        codes = codes.copy()
-        codes[offsets[:-1]] = starts.indices.to_numpy() + len(units)
-        return codes, offsets, pa.concat_arrays([pc.binary_join_element_wise("", units, " "), starts.dictionary])
+        later = np.ones(len(values), bool)
+        later[offsets[:-1]] = False
+        coded, starts = values.filter(pa.array(later)).dictionary_encode(), pc.list_element(lists, 0).dictionary_encode()
+        codes = np.empty(len(values), np.int32)
+        codes[later] = coded.indices.to_numpy()
+        codes[~later] = starts.indices.to_numpy() + len(coded.dictionary)
+        return codes, offsets, pa.concat_arrays([pc.binary_join_element_wise("", coded.dictionary, " "), starts.dictionary])
 
     def ids_of(self, texts: pa.Array) -> list[np.ndarray]:
         """The ids of each whole text; a null text has none."""
@@ -228,6 +246,15 @@ class PreTokenizer:
         return np.concatenate([*docs, empty]), np.concatenate([*found, empty]), names
 
 
+def _flat(values: pa.Array) -> np.ndarray:
+    """The bytes of strings without nulls, one after the other."""
+    data = values.buffers()[2]
+    if not len(values) or data is None:
+        return np.empty(0, np.uint8)
+    ends = np.frombuffer(values.buffers()[1], np.int32)
+    return np.frombuffer(data, np.uint8)[ends[values.offset] : ends[values.offset + len(values)]]
+
+
 def _gathered(kept: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """The runs of kept that begin at starts, one after the other, and where each then ends."""
     ends = np.cumsum(sizes, dtype=np.int64)

@@ -1,13 +1,15 @@
 """Repeated ids and rows, ties, hot keys, several blocks, and models on documents they have not seen."""
 
 import random
+import re
 import zlib
 from collections import Counter
 
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from causemine.llm import decontamination, language_id, near_dedup, packing, quality_rules, sharding, token_files, toxicity
+from causemine.llm import decontamination, language_id, near_dedup, packing, quality_rules, sharding, token_files, tokens, toxicity
 from causemine.llm.shared import hot_join, table
 
 SF = "/root/testdata/sf0.1"
@@ -113,3 +115,24 @@ def test_counts_of_symbols_and_lines(repeated):
         w, lines = text.split(), [x for x in text.split("\n") if x.strip()]
         want[(r["doc_id"], len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in text), len(lines) - len(set(lines)))] += 1
     assert got == want
+
+
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
+def test_new_pre_tokens_go_to_the_library_together(name, monkeypatch):
+    draw = random.Random(3)
+    parts = ["don't", "WE'LL", "x1y22", "éß", "ÿþ", "a\nb", "c\r\n\nd\t", "!!", "...", "(q)", "'s", "_", "9", "|", "Ünï"]
+    unit = lambda: draw.choice(parts) + "".join(draw.choice("abÉÿþ\n'9.!") for _ in range(draw.randrange(6)))
+    texts = ["", "\n", "x", "'s", *(" ".join(unit() for _ in range(draw.randint(1, 400))) for _ in range(60))]
+    tokenizer = tokens.PreTokenizer(tokens.vocabulary(name), most=300)
+    want = [tokenizer.library.encode(t, add_special_tokens=False).ids for t in texts]
+    calls: list[str] = []
+    # Texts that the library must cut itself may still go one by one; there are none among these.
+    plain = [i for i, t in enumerate(texts) if not re.search(tokens._SLOW, t)]
+    assert len(plain) > 20
+    monkeypatch.setattr(tokenizer, "pieces", calls.append)
+    for mark in (tokenizer._mark, None):
+        tokenizer._mark = mark
+        got = tokenizer.ids_of(pa.array([texts[i] for i in plain]))
+        assert [g.tolist() for g in got] == [want[i] for i in plain]
+        tokenizer._kept_units, tokenizer._kept_pre_tokens = (tokens._Kept(300, tokenizer.dtype) for _ in range(2))
+    assert not calls
